@@ -1,0 +1,11 @@
+"""Query keys of the graph engine: callables and their DuckDB SQL."""
+
+from __future__ import annotations
+
+
+def queries() -> dict:
+    return {}
+
+
+def oracle_sql() -> dict[str, str]:
+    return {}
