@@ -96,9 +96,44 @@ SELECT doc_id, count(*)::BIGINT AS n_lines, count(*) FILTER (dropped)::BIGINT AS
 FROM marked GROUP BY doc_id
 """
 
+_QUALITY = rf"""
+WITH base AS (SELECT doc_id, coalesce(text, '') AS text, {WORDS} AS w FROM documents),
+words AS (
+  SELECT doc_id, unnest(w) AS word, generate_subscripts(w, 1) AS pos FROM base),
+windows AS (
+  SELECT doc_id, pos, word, lag(word) OVER o AS before, string_agg(word, ' ') OVER (o ROWS BETWEEN CURRENT ROW AND 7 FOLLOWING) AS grams,
+         lead(word, 7) OVER o IS NOT NULL AS whole
+  FROM words WINDOW o AS (PARTITION BY doc_id ORDER BY pos)),
+counted AS (
+  SELECT doc_id, pos, word = before AS adjacent, (whole AND count(*) OVER (PARTITION BY doc_id, whole, grams) > 1)::INT AS twice FROM windows),
+covered AS (
+  SELECT doc_id, adjacent, max(twice) OVER (PARTITION BY doc_id ORDER BY pos ROWS BETWEEN 7 PRECEDING AND CURRENT ROW) AS covered FROM counted),
+repeats AS (
+  SELECT doc_id, sum(covered)::BIGINT AS n_repeat_words, count(*) FILTER (adjacent)::BIGINT AS n_adjacent FROM covered GROUP BY doc_id),
+lines AS (
+  SELECT doc_id, count(*)::BIGINT AS n_lines, (count(*) - count(DISTINCT line))::BIGINT AS n_dup_lines
+  FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM base)
+  WHERE trim(line, {SEPARATORS}) <> '' GROUP BY doc_id),
+measured AS (
+  SELECT b.doc_id, len(w)::BIGINT AS n_words, length(regexp_replace(text, '[\x20\x09-\x0D]', '', 'g'))::BIGINT AS word_chars,
+         length(regexp_replace(text, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols, coalesce(n_dup_lines, 0) AS n_dup_lines,
+         coalesce(n_repeat_words, 0) AS n_repeat_words, coalesce(n_lines, 0) AS n_lines, coalesce(n_adjacent, 0) AS n_adjacent,
+         length(regexp_replace(text, '[^\p{{L}}]', '', 'g')) AS n_letters, length(regexp_replace(text, '[^\p{{Lu}}]', '', 'g')) AS n_upper,
+         length(regexp_replace(text, '[^!]', '', 'g')) AS n_exclaim
+  FROM base b LEFT JOIN repeats USING (doc_id) LEFT JOIN lines USING (doc_id)),
+judged AS (
+  SELECT *, ((n_words < 20)::BIGINT * 1 + (100 * n_repeat_words > 30 * n_words)::BIGINT * 2 + (100 * n_symbols > 10 * n_words)::BIGINT * 4
+    + (100 * n_upper > 30 * n_letters)::BIGINT * 8 + (100 * n_exclaim > 20 * n_words)::BIGINT * 16 + (100 * n_dup_lines > 30 * n_lines)::BIGINT * 32
+    + (100 * n_adjacent > 20 * n_words)::BIGINT * 64 + (word_chars < 2 * n_words OR word_chars > 20 * n_words)::BIGINT * 128
+    + (10 * n_letters < 6 * word_chars)::BIGINT * 256)::BIGINT AS failed
+  FROM measured)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, (failed & 3) <> 0 AS base_failed, failed = 0 AS kept, failed FROM judged
+"""
+
 SQL = {
     "op2_mix_sources": _MIX,
     "op3_document_fingerprints": _FINGERPRINTS,
+    "op4_quality_rules": _QUALITY,
     "op7_url_filter": _URLS,
     "op10_line_dedup": _LINES,
 }

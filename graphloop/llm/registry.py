@@ -4,14 +4,16 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from graphloop.llm import fingerprint, line_dedup, mixing, url_filter
+from graphloop.llm import byte_bpe, fingerprint, line_dedup, mixing, quality_rules, url_filter
 from graphloop.llm.oracles import SQL
 from graphloop.llm.text import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
+VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 URL_RULES = [
     url_filter.UrlRule("block", "com", "/en/"),
     url_filter.UrlRule("allow", "example.com", "/en/7"),
@@ -21,6 +23,11 @@ URL_RULES = [
 ]
 
 
+def op1_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    documents = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return byte_bpe.digest(documents, public_tokenizers.path(VOCABULARY))
+
+
 def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.digest(mixing.mix(table(spark, sf_dir, "documents")))
 
@@ -29,6 +36,10 @@ def op3_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint.digest(fingerprint.compare_with_edits(table(spark, sf_dir, "documents")))
 
 
+def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_rules.digest(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
     return url_filter.filter_urls(pages, URL_RULES).drop("url")
