@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from graphloop.llm import byte_bpe, fingerprint, line_dedup, mixing, quality_rules, url_filter
+from graphloop.llm import byte_bpe, fingerprint, line_dedup, mixing, near_dup, quality_rules, url_filter
 from graphloop.llm.oracles import SQL
 from graphloop.llm.text import table
 
@@ -40,6 +40,11 @@ def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.digest(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op5_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    documents = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return near_dup.digest(near_dup.near_duplicates(documents, width=3, percent=85))
+
+
 def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
     return url_filter.filter_urls(pages, URL_RULES).drop("url")
