@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from graphloop.llm import byte_bpe, fingerprint, line_dedup, mixing, near_dup, quality_rules, url_filter
+from graphloop.llm import byte_bpe, fingerprint, line_dedup, mixing, near_dup, quality_rules, suffix_dedup, url_filter
 from graphloop.llm.oracles import SQL
 from graphloop.llm.text import table
 
@@ -50,6 +50,11 @@ def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.filter_urls(pages, URL_RULES).drop("url")
 
 
+def op9_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    documents = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return suffix_dedup.digest(suffix_dedup.dedup_passages(documents))
+
+
 def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     documents = table(spark, sf_dir, "documents").select("doc_id", "text")
     return line_dedup.digest(line_dedup.dedup_lines(documents))
