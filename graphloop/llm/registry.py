@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from graphloop.llm import byte_bpe, fingerprint, line_dedup, mixing, near_dup, quality_rules, suffix_dedup, url_filter
+from graphloop.llm import byte_bpe, fingerprint, kneser_ney, language_id, line_dedup, mixing, near_dup, quality_rules, suffix_dedup, url_filter
 from graphloop.llm.oracles import SQL
 from graphloop.llm.text import table
 
@@ -45,11 +45,20 @@ def op5_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.digest(near_dup.near_duplicates(documents, width=3, percent=85))
 
 
+def op6_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    documents = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    return kneser_ney.digest(documents, table(spark, sf_dir, "labels"))
+
+
 def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
     return url_filter.filter_urls(pages, URL_RULES).drop("url")
 
 
+def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_id.digest(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"))
+
+
 def op9_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     documents = table(spark, sf_dir, "documents").select("doc_id", "text")
     return suffix_dedup.digest(suffix_dedup.dedup_passages(documents))
