@@ -5,7 +5,7 @@ counts of lower orders are counts of distinct higher n-grams, and each order's p
 come from a join with the next lower order, sharded by language and n-gram. A model of every
 language and one of all languages together ("*") share the tables. Documents are scored by
 the highest order that knows an n-gram, with the usual back-off weights below it, and judged
-by a quantile of the trusted documents of their language.
+by a quantile of trusted documents of their language that the model has not seen.
 
 Scoring looks n-grams up in a broadcast copy of the tables where these have at most
 ``BROADCAST_ROWS`` rows, which is checked; beyond that it joins the n-gram counts of documents with them.
@@ -201,12 +201,16 @@ def classify(
     text_col: str = "text",
     lang_col: str = "lang",
     quantile: float = 0.995,
+    slack: float = 1.25,
+    folds: int = 5,
     order: int = ORDER,
     broadcast_rows: int = BROADCAST_ROWS,
 ) -> DataFrame:
     """(id, lang, n_grams, perplexity, threshold, kept) of every row.
 
-    ``trusted_ids`` has the ids of trusted rows in a column ``id``. Perplexity is per character
+    ``trusted_ids`` has the ids of trusted rows in a column ``id``; one in ``folds``, by a hash
+    of the id, is kept from the model and sets the thresholds: ``slack`` times the ``quantile``
+    of their perplexities, by language. Perplexity is per character
     with the end of the text; null and empty texts have none and are not kept. A null language,
     or one without trusted text, is judged by the pooled model and threshold. Without
     any trusted text there is no perplexity, and every text that is not empty is kept. Rows are
@@ -215,7 +219,8 @@ def classify(
     spark = df.sparkSession
     base = df.select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
     trusted_ids = trusted_ids.select("id").where("id is not null").distinct()
-    trusted = base.join(trusted_ids, "id", "left_semi").where(F.length("text") > 0)
+    unseen = F.pmod(F.xxhash64(F.lit("fold"), "id"), F.lit(folds)) == 0
+    trusted = base.join(trusted_ids.where(~unseen), "id", "left_semi").where(F.length("text") > 0)
     counts = stored(count_grams(trusted, order))
     release(spark)
     model = stored(probabilities(counts, order))
@@ -224,9 +229,9 @@ def classify(
     rows = base.withColumn("n_grams", F.coalesce(F.length("text"), F.lit(0)).cast("long") + 1)
     scored = score(rows, model, order).select("id", "lang", "n_grams", F.exp(-F.col("log_p") / F.col("n_grams")).alias("perplexity"))
     scored = stored(scored)
-    judged = scored.join(trusted_ids, "id", "left_semi").where(F.col("perplexity").isNotNull())
+    judged = scored.join(trusted_ids.where(unseen), "id", "left_semi").where(F.col("perplexity").isNotNull())
     both = F.explode(F.array_distinct(F.array(F.coalesce("lang", F.lit(POOLED)), F.lit(POOLED)))).alias("own")
-    limits = judged.select(both, "perplexity").groupBy("own").agg(F.percentile_approx("perplexity", quantile, 10_000).alias("threshold"))
+    limits = judged.select(both, "perplexity").groupBy("own").agg((F.percentile_approx("perplexity", quantile, 10_000) * slack).alias("threshold"))
     pooled = limits.where(F.col("own") == POOLED).select(F.col("threshold").alias("pooled"))
     out = scored.join(F.broadcast(limits), scored["lang"] == limits["own"], "left").join(F.broadcast(pooled), F.lit(True), "left")
     out = out.withColumn("threshold", F.coalesce("threshold", "pooled"))
