@@ -7,11 +7,43 @@ gathered: the smallest neighbour is a combinable minimum that is joined back to
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphloop.materialize import durable
 
+PART_EDGES = 1_000_000
+
+
+def _forest(edges: DataFrame, parts: int) -> DataFrame:
+    """Each of ``parts`` parts of the edges (hi, lo) as stars around its components' least nodes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        up: dict[int, int] = {}
+
+        def find(x: int) -> int:
+            top = x
+            while (above := up.get(top, top)) != top:
+                top = above
+            while (above := up.get(x, x)) != top:
+                up[x], x = top, above
+            return top
+
+        for batch in batches:
+            for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                a, b = find(a), find(b)
+                if a != b:
+                    up[max(a, b)] = min(a, b)
+        nodes = np.fromiter(up, dtype=np.int64, count=len(up))
+        tops = np.fromiter(map(find, up), dtype=np.int64, count=len(up))
+        yield pa.RecordBatch.from_arrays([pa.array(nodes), pa.array(tops)], names=["hi", "lo"])
+
+    return edges.coalesce(parts).mapInArrow(run, "hi long, lo long")
+
 
 def _towards_least(edges: DataFrame, small: bool) -> DataFrame:
     """One star step on edges (hi, lo) with hi > lo."""
@@ -33,14 +65,20 @@ def _state(edges: DataFrame) -> tuple:
     return tuple(row)
 
 
-def contract(edges: DataFrame, max_rounds: int = 64) -> tuple[DataFrame, int]:
+def contract(edges: DataFrame, max_rounds: int = 64, local: bool = True, part_edges: int = PART_EDGES) -> tuple[DataFrame, int]:
     """((node, component) for every node that has an edge to a smaller one, rounds).
 
     ``edges`` has columns src and dst, of any direction, repeated or looped; ``component`` is
-    the smallest node of the component, which itself is not listed.
+    the smallest node of the component, which itself is not listed. With ``local`` the edges
+    are first reduced to forests in parts of about ``part_edges``; a single part is the answer.
     """
     pairs = edges.where(F.col("src") != F.col("dst")).select(F.greatest("src", "dst").alias("hi"), F.least("src", "dst").alias("lo"))
-    current = durable(pairs.distinct())
+    current = durable(pairs if local else pairs.distinct())
+    if local:
+        parts = current.count() // part_edges + 1
+        current = durable(_forest(current, parts))
+        if parts == 1:
+            return current.select(F.col("hi").alias("node"), F.col("lo").alias("component")), 1
     before, rounds = _state(current), 0
     while before[0]:
         rounds += 1
