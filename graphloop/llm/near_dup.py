@@ -116,11 +116,15 @@ def _runs(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.Tab
         yield pa.Table.from_batches(rest)
 
 
+def _least_agreement(percent: int) -> int:
+    """How many of the minwise values two sets at the threshold share at least, but for 4.2 standard deviations."""
+    share = percent / 100
+    return int(COORDINATES * max(0.0, share - 4.2 * (share * (1 - share) / COORDINATES) ** 0.5))
+
+
 def _compare_small(members: DataFrame, percent: int, leaf: int) -> DataFrame:
     """Candidate links (src, dst) within nodes of at most ``leaf`` sets, by signatures."""
-    share = percent / 100
-    margin = 4.2 * (share * (1 - share) / COORDINATES) ** 0.5
-    least = int(COORDINATES * max(0.0, share - margin))
+    least = _least_agreement(percent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in _runs(batches, ["node"]):
@@ -180,25 +184,28 @@ class _Groups:
 
 
 def _confirm(rows: DataFrame, width: int, percent: int) -> DataFrame:
-    """Exact links that connect what is alike among rows (grp, block, probe, rid, label, text).
+    """Exact links that connect what is alike among rows (grp, block, probe, rid, label, sig, text).
 
     In a group without probes all rows are compared, in one with probes only probes with the
     others. Rows with one label are connected already. A row is first held against the first
-    member of each group, then, while they are apart, against the others.
+    member of each group, then, while they are apart, against the others; pairs whose
+    signatures rule them out, by the margin of the candidate search, are passed over.
     """
+    least = _least_agreement(percent)
 
-    def links(rids, labels, probes, sets) -> Iterator[tuple[int, int]]:
+    def links(rids, labels, probes, sigs, sets) -> Iterator[tuple[int, int]]:
         known, asked = _Groups(), bool(probes.any())
         clusters: dict[int, list[int]] = {}
         order = np.argsort(probes, kind="stable").tolist()
         for i in order:
             mine = known.find(labels[i])
+            alike = (sigs == sigs[i]).sum(axis=1) >= least
             if not asked or probes[i]:
                 for other in sorted(clusters, key=lambda c: -len(clusters[c])):
                     if other == known.find(mine) or other not in clusters:
                         continue
                     for j in clusters[other]:
-                        if similar(sets[i], sets[j], percent):
+                        if alike[j] and similar(sets[i], sets[j], percent):
                             yield rids[i], rids[j]
                             known.join(mine, other)
                             top = known.find(other)
@@ -216,17 +223,18 @@ def _confirm(rows: DataFrame, width: int, percent: int) -> DataFrame:
                 part = table.slice(a, b - a)
                 sets = list(shingle_sets(part.column("text").to_pylist(), width))
                 rids, labels = part.column("rid").to_pylist(), part.column("label").to_pylist()
-                found = list(links(rids, labels, part.column("probe").to_numpy(), sets))
+                sigs = np.frombuffer(b"".join(part.column("sig").to_pylist()), dtype=np.uint16).reshape(-1, COORDINATES)
+                found = list(links(rids, labels, part.column("probe").to_numpy(), sigs, sets))
                 if found:
                     src, dst = zip(*found, strict=True)
                     yield pa.RecordBatch.from_arrays([pa.array(src, pa.int64()), pa.array(dst, pa.int64())], names=["src", "dst"])
 
-    dealt = rows.select("grp", "block", "probe", "rid", "label", "text").repartition("grp", "block")
+    dealt = rows.select("grp", "block", "probe", "rid", "label", "sig", "text").repartition("grp", "block")
     return dealt.sortWithinPartitions("grp", "block", "rid").mapInArrow(run, "src long, dst long")
 
 
 def confirmed(texts: DataFrame, width: int, percent: int, block: int = 512) -> DataFrame:
-    """Exact links among provisional groups; rows (rid, grp, hub, size, text), written before."""
+    """Exact links among provisional groups; rows (rid, grp, hub, size, sig, text), written before."""
     n_blocks = F.when(F.col("size") <= block, F.lit(1)).otherwise(F.ceil(F.col("size") / (block // 2))).cast("int")
     rows = texts.withColumn("n_blocks", n_blocks).withColumn("probe", F.lit(0)).withColumn("label", F.col("rid"))
     own = rows.withColumn("block", F.pmod(F.xxhash64("rid"), F.col("n_blocks")).cast("int"))
@@ -271,9 +279,9 @@ def near_duplicates(
     hubs = groups.select(F.col("component").alias("rid"), F.col("component").alias("grp")).distinct()
     groups = hubs.unionByName(groups.select(F.col("node").alias("rid"), F.col("component").alias("grp")))
     sizes = groups.groupBy("grp").agg(F.count(F.lit(1)).alias("size"))
-    wanted = groups.join(sizes, "grp").join(sets.select("rid", "first", "row_hash"), "rid").withColumn("hub", F.col("grp"))
+    wanted = groups.join(sizes, "grp").join(sets.select("rid", "first", "row_hash", "sig"), "rid").withColumn("hub", F.col("grp"))
     same = base["id"].eqNullSafe(wanted["first"]) & (base["row_hash"] == wanted["row_hash"])
-    texts = stored(base.join(wanted, same).select("rid", "grp", "hub", "size", "text"))
+    texts = stored(base.join(wanted, same).select("rid", "grp", "hub", "size", "sig", "text"))
     roots, _ = contract(confirmed(texts, width, percent, block))
     named = sets.select("s1", "s2", "rid", "first").join(roots.withColumnRenamed("node", "rid"), "rid", "left")
     named = named.withColumn("root", F.coalesce("component", "rid"))
