@@ -6,8 +6,9 @@ function on the eight states of a small automaton. These functions form a finite
 their composition is a table look-up, and all states of a batch come from a blocked
 associative scan. Where a state meets a class that starts a slice there is a boundary.
 
-Slices feed a cache of merged pairs; a missing slice is merged by a heap in O(n log n), so a
-slice of any length is handled whole. Token ids keep the byte offset of each token, with
+Slices feed a cache of merged pairs. Short slices that it lacks are merged together, a matrix of
+parts with one merge in every row at a time; a long one is merged by a heap in O(n log n), so
+a slice of any length is handled whole. Token ids keep the byte offset of each token, with
 which any stretch of a text can be decoded by itself.
 """
 
@@ -35,9 +36,11 @@ LONG_ENDINGS = ("re", "ve", "ll")
 LETTER, NUMBER, OTHER, SPACE_RUN, SPACE_BEFORE, SPACE_ALONE, APOSTROPHE_1, APOSTROPHE_2, RESET = range(9)
 _ENDED, _IN_LETTERS, _IN_NUMBERS, _IN_OTHERS, _IN_SPACES, _AFTER_SPACE, _TAKE_1, _TAKE_2 = range(8)
 
-CHUNK_CHARS = 1_000_000
-CACHE_SLICES = 1 << 18
+CHUNK_CHARS = 250_000
+CACHE_SLICES = 100_000
 CACHE_CHARS = 64
+MATRIX_BYTES = (8, 16, 32)
+NO_PAIR = np.int32(2**31 - 1)
 
 
 def _step(state: int, kind: int) -> tuple[int, bool]:
@@ -162,6 +165,48 @@ class Vocabulary:
         self.lengths = np.array([len(t) for t in tokens], dtype=np.int64)
         self.starts = np.cumsum(self.lengths) - self.lengths
         self.bytes = np.frombuffer(b"".join(tokens), dtype=np.uint8)
+        self.single = np.array([ranks.get(bytes([b]), -1) for b in range(256)], dtype=np.int32)
+        self._build_pairs()
+
+    def _build_pairs(self) -> None:
+        """An open-addressing table from two adjacent tokens to the token they make."""
+        left, right, made = [], [], []
+        for token, rank in self.ranks.items():
+            for k in range(1, len(token)):
+                a, b = self.ranks.get(token[:k]), self.ranks.get(token[k:])
+                if a is not None and b is not None:
+                    left.append(a), right.append(b), made.append(rank)
+        self.bits = max(4, (4 * len(made)).bit_length())
+        self.keys = np.full(1 << self.bits, -1, dtype=np.int64)
+        self.made = np.full(1 << self.bits, NO_PAIR, dtype=np.int32)
+        key = (np.array(left, dtype=np.int64) << 32) | np.array(right, dtype=np.int64)
+        value = np.array(made, dtype=np.int32)
+        slot = self._slot(key)
+        while len(key):
+            free = self.keys[slot] == -1
+            self.keys[slot[free]] = key[free]
+            placed = self.keys[slot] == key
+            self.made[slot[placed]] = value[placed]
+            key, value, slot = key[~placed], value[~placed], (slot[~placed] + 1) & ((1 << self.bits) - 1)
+
+    def _slot(self, key: np.ndarray) -> np.ndarray:
+        with np.errstate(over="ignore"):
+            return (key.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - self.bits)).astype(np.int64)
+
+    def pair_ranks(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Rank of the token that two tokens make, ``NO_PAIR`` where they make none."""
+        key = (left.astype(np.int64) << 32) | right.astype(np.int64)
+        slot = self._slot(key)
+        at = self.keys[slot]
+        out = np.where(at == key, self.made[slot], NO_PAIR)
+        rest = np.flatnonzero((at != key) & (at != -1))
+        while len(rest):
+            slot[rest] = (slot[rest] + 1) & ((1 << self.bits) - 1)
+            at = self.keys[slot[rest]]
+            hit = at == key[rest]
+            out[rest[hit]] = self.made[slot[rest[hit]]]
+            rest = rest[~hit & (at != -1)]
+        return out
 
     @classmethod
     def load(cls, path: str) -> Vocabulary:
@@ -207,6 +252,60 @@ class Vocabulary:
             i = end[i]
         return tuple(out)
 
+    def merge_many(self, slices: list[bytes]) -> list[tuple[int, ...]]:
+        """``merge`` for many slices at once."""
+        out: list = [None] * len(slices)
+        groups: dict[int, list[int]] = {width: [] for width in MATRIX_BYTES}
+        for i, piece in enumerate(slices):
+            rank = self.ranks.get(piece)
+            if rank is not None:
+                out[i] = (rank,)
+            elif len(piece) > MATRIX_BYTES[-1]:
+                out[i] = self.merge(piece)
+            else:
+                groups[next(w for w in MATRIX_BYTES if len(piece) <= w)].append(i)
+        for width, rows in groups.items():
+            for at in range(0, len(rows), 20_000):
+                part = rows[at : at + 20_000]
+                for i, ids in zip(part, self._merge_matrix([slices[i] for i in part], width), strict=True):
+                    out[i] = ids
+        return out
+
+    def _merge_matrix(self, slices: list[bytes], width: int) -> list[tuple[int, ...]]:
+        n = len(slices)
+        sizes = np.fromiter(map(len, slices), dtype=np.int64, count=n)
+        columns = np.arange(width)
+        parts = np.full((n, width + 1), -1, dtype=np.int32)
+        parts[:, :width][columns < sizes[:, None]] = self.single[np.frombuffer(b"".join(slices), dtype=np.uint8)]
+        ranks = np.full((n, width + 1), NO_PAIR, dtype=np.int32)
+        paired = np.flatnonzero((columns + 1 < sizes[:, None]).ravel())
+        row, column = paired // width, paired % width
+        ranks[row, column] = self.pair_ranks(parts[row, column], parts[row, column + 1])
+        active = np.arange(n)
+        while len(active):
+            r = ranks[active]
+            spot = r.argmin(axis=1)
+            least = r[np.arange(len(active)), spot]
+            go = least != NO_PAIR
+            active, spot, least, r = active[go], spot[go], least[go], r[go]
+            p = parts[active]
+            index = np.arange(len(active))
+            shifted = columns + (columns > spot[:, None])
+            p[:, :width] = np.take_along_axis(p, shifted, axis=1)
+            p[index, spot] = least
+            r[:, :width] = np.take_along_axis(r, columns + (columns >= spot[:, None]), axis=1)
+            follow = p[index, spot + 1]
+            r[index, spot] = NO_PAIR
+            some = np.flatnonzero(follow >= 0)
+            r[some, spot[some]] = self.pair_ranks(least[some], follow[some])
+            some = np.flatnonzero(spot > 0)
+            r[some, spot[some] - 1] = self.pair_ranks(p[some, spot[some] - 1], least[some])
+            parts[active], ranks[active] = p, r
+        used = parts >= 0
+        ends = np.cumsum(used.sum(axis=1)).tolist()
+        flat = parts[used].tolist()
+        return [tuple(flat[a:b]) for a, b in zip([0, *ends[:-1]], ends, strict=True)]
+
     def decode(self, ids: np.ndarray) -> np.ndarray:
         """Bytes of a run of token ids."""
         lengths = self.lengths[ids]
@@ -217,28 +316,25 @@ class Vocabulary:
         return self.bytes[shift + np.arange(total[-1])]
 
 
-class _Merged(dict):
-    """Slice to token ids; bounded, and filled as slices are met."""
-
-    def __init__(self, vocabulary: Vocabulary):
-        super().__init__()
-        self.vocabulary = vocabulary
-
-    def __missing__(self, piece: str) -> tuple[int, ...]:
-        ids = self.vocabulary.merge(piece.encode())
-        if len(piece) <= CACHE_CHARS:
-            if len(self) >= CACHE_SLICES:
-                self.clear()
-            self[piece] = ids
-        return ids
-
-
 class Encoder:
     """Encodes lists of texts, a bounded number of characters at a time."""
 
     def __init__(self, vocabulary: Vocabulary):
         self.vocabulary = vocabulary
-        self.merged = _Merged(vocabulary)
+        self.merged: dict[str, tuple[int, ...]] = {}
+
+    def _merge(self, pieces: list[str]) -> list[tuple[int, ...]]:
+        """Token ids of every piece; new short ones stay in the cache while it has room."""
+        missing = list(set(pieces).difference(self.merged))
+        if len(self.merged) + len(missing) > CACHE_SLICES:
+            self.merged.clear()
+            missing = list(set(pieces))
+        self.merged.update(zip(missing, self.vocabulary.merge_many([p.encode() for p in missing]), strict=True))
+        found = list(map(self.merged.__getitem__, pieces))
+        for piece in missing:
+            if len(piece) > CACHE_CHARS:
+                del self.merged[piece]
+        return found
 
     def encode(self, texts: list[str]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """(ids, tokens of each text) for consecutive stretches of ``texts``."""
@@ -261,7 +357,7 @@ class Encoder:
         if len(resets):
             keep = ~np.isin(cuts, resets, assume_unique=True)
             cuts, stops = cuts[keep], stops[keep]
-        found = list(map(self.merged.__getitem__, [joined[a:b] for a, b in zip(cuts.tolist(), stops.tolist(), strict=True)]))
+        found = self._merge([joined[a:b] for a, b in zip(cuts.tolist(), stops.tolist(), strict=True)])
         sizes = np.fromiter(map(len, found), dtype=np.int64, count=len(found))
         ids = np.fromiter(chain.from_iterable(found), dtype=np.int32, count=int(sizes.sum()))
         upto = np.append(0, np.cumsum(sizes))
@@ -278,37 +374,48 @@ def _lists(values: np.ndarray, counts: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(ends), pa.array(values))
 
 
-def encode_texts(df: DataFrame, path: str, text_col: str = "text", with_offsets: bool = True) -> DataFrame:
+def encode_texts(df: DataFrame, path: str, text_col: str = "text", with_offsets: bool = True, with_decoded: bool = False, keep_text: bool = True) -> DataFrame:
     """Adds ``ids`` (array of token ids) and ``offsets`` (byte offset of each token) to ``df``.
 
     The vocabulary is read by the driver from ``path`` and broadcast; its size is that of the
-    file. Null texts count as empty and give empty arrays. Rows are encoded one by one, whole
-    and in bounded stretches; repeats give equal results, an empty table stays empty, and
-    columns of ``df`` named like a result are replaced.
+    file. ``with_decoded`` adds the bytes that the ids stand for, decoded from the ids in the
+    same pass; without ``keep_text`` the text itself is not sent back. Null texts count as
+    empty and give empty arrays. Rows are encoded one by one, whole and in bounded stretches;
+    repeats give equal results, an empty table stays empty, and columns of ``df`` named
+    like a result are replaced.
     """
     vocabulary = df.sparkSession.sparkContext.broadcast(Vocabulary.load(path))
-    base = _without(df, ("ids", "offsets"))
+    wanted = {"ids": True, "offsets": with_offsets, "decoded": with_decoded}
+    base = _without(df, tuple(wanted))
     place = base.columns.index(text_col)
-    schema = T.StructType(base.schema.fields + [T.StructField(n, T.ArrayType(T.IntegerType())) for n in (("ids", "offsets") if with_offsets else ("ids",))])
+    passed = [k for k, c in enumerate(base.columns) if keep_text or k != place]
+    numbers = T.ArrayType(T.IntegerType())
+    fields = [base.schema.fields[k] for k in passed]
+    fields += [T.StructField(name, T.BinaryType() if name == "decoded" else numbers) for name, want in wanted.items() if want]
+    names = [f.name for f in fields]
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = Encoder(vocabulary.value)
         lengths = vocabulary.value.lengths
         for batch in batches:
-            texts = [t or "" for t in batch.column(place).to_pylist()]
             done = 0
-            for ids, counts in encoder.encode(texts):
-                columns = list(batch.slice(done, len(counts)).columns)
-                done += len(counts)
-                columns.append(_lists(ids, counts))
-                if with_offsets:
-                    ends = np.cumsum(lengths[ids])
-                    begins = ends - lengths[ids]
-                    first = np.append(0, ends)[np.cumsum(counts) - counts]
-                    columns.append(_lists((begins - np.repeat(first, counts)).astype(np.int32), counts))
-                yield pa.RecordBatch.from_arrays(columns, names=schema.names)
-
-    return base.mapInArrow(encode, schema)
+            for at in range(0, batch.num_rows, 256):
+                texts = [t or "" for t in batch.column(place).slice(at, 256).to_pylist()]
+                for ids, counts in encoder.encode(texts):
+                    rows = batch.slice(done, len(counts))
+                    done += len(counts)
+                    columns = [rows.column(k) for k in passed]
+                    columns.append(_lists(ids, counts))
+                    ends = np.append(0, np.cumsum(lengths[ids]))
+                    upto = np.append(0, np.cumsum(counts))
+                    if with_offsets:
+                        columns.append(_lists((ends[:-1] - np.repeat(ends[upto[:-1]], counts)).astype(np.int32), counts))
+                    if with_decoded:
+                        raw, cuts = vocabulary.value.decode(ids).tobytes(), ends[upto].tolist()
+                        columns.append(pa.array([raw[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)], pa.binary()))
+                    yield pa.RecordBatch.from_arrays(columns, names=names)
+
+    return base.mapInArrow(encode, T.StructType(fields))
 
 
 def decode_ids(df: DataFrame, path: str, ids_col: str = "ids", text_col: str = "decoded") -> DataFrame:
@@ -341,7 +448,7 @@ def decode_ids(df: DataFrame, path: str, ids_col: str = "ids", text_col: str = "
 
 def digest(df: DataFrame, path: str) -> DataFrame:
     """The contract's columns for rows (doc_id, text)."""
-    coded = decode_ids(encode_texts(df.select("doc_id", "text"), path).select("doc_id", "ids"), path)
+    coded = encode_texts(df.select("doc_id", "text"), path, with_offsets=False, with_decoded=True, keep_text=False)
     joined = F.array_join(F.transform("ids", lambda i: i.cast("string")), ",")
     return coded.select(
         "doc_id", F.size("ids").cast("long").alias("n_tokens"), F.sha2(joined.cast("binary"), 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256")
