@@ -14,16 +14,23 @@ corpus rules out all windows that it owns. What is left is settled by suffix ord
    shares with the last winner, so a known prefix is never compared again, and the merge
    yields the longest common prefix of neighbours. A suffix that shares ``length`` bytes or
    more with a neighbour settles its leading windows as repeated.
-3. Where windows stay open, each becomes a suffix of its own, beside those of one settled
-   suffix for each distinct string with the same anchor; these are sorted, exchanged and merged
-   the same way, and equal neighbours are repeats.
-
-Equal suffixes collapse before the exchange, so a passage that a third of all documents
-share costs one entry for each run. Hashes only select; bytes decide.
+3. Where windows stay open, the suffix from the anchor on, and the bytes before it read
+   backwards, are sorted the same way, beside those of one settled suffix for each distinct
+   string with the same anchor. Their longest common prefixes bound how far a repeat can
+   reach to either side, so only windows within both bounds stay open.
+4. Two suffixes with one anchor part, going backwards, at one of the depths at which neighbours
+   part. From each such depth on, the suffixes of open windows, and of settled ones
+   with that anchor, are sorted, exchanged and merged once more. Whatever two of them share is
+   then the longest common prefix of neighbours, and settles the windows within it.
+
+Equal texts, by 96 bits of hashes, are sorted once and known to repeat throughout; equal
+suffixes collapse before the exchange. So neither a text nor a passage that a third of
+all documents share costs more than one entry for each run.
 """
 
 from __future__ import annotations
 
+from array import array
 from bisect import bisect_left
 from collections.abc import Iterator
 
@@ -38,7 +45,7 @@ from graphloop.materialize import release, stored
 LENGTH, GRAM = 200, 40
 SEGMENT = 4_000_000
 CHUNK = 2_000_000
-RUN_BYTES = 24_000_000
+RUN_BYTES = 12_000_000
 SAMPLE_DOCS, SAMPLE_PLACES, SAMPLE_BYTES = 2_000, 16, 24
 INTERVAL, OPEN, SETTLED = 0, 1, 2
 
@@ -121,7 +128,7 @@ def _pack(place: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndarray:
 
 
 def find_anchors(docs: DataFrame, length: int, gram: int) -> DataFrame:
-    """(route, hash, dk, pack, known) for rows (dk, text).
+    """(route, hash, dk, chk, pack, known) for rows (dk, chk, text).
 
     Within a chunk all but one of equal anchors are known to repeat and need not meet others
     of their hash: they are routed by document.
@@ -129,25 +136,25 @@ def find_anchors(docs: DataFrame, length: int, gram: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            dk = batch.column("dk").to_numpy()
+            dk, chk = batch.column("dk").to_numpy(), batch.column("chk").to_numpy()
             texts = [t.encode() for t in batch.column("text").to_pylist()]
             for parts, whose, offsets in _segments(texts, length):
                 segment, place, low, high, hashes = anchors(parts, length, gram)
                 shift = np.array(offsets, dtype=np.int64)[segment]
-                keys = dk[np.array(whose)[segment]]
+                own = np.array(whose)[segment]
                 _, first, inverse, counts = np.unique(hashes, return_index=True, return_inverse=True, return_counts=True)
                 known = counts[inverse] > 1
                 extra = known.copy()
                 extra[first] = False
-                route = np.where(extra, keys, hashes)
-                columns = [route, hashes, keys, _pack(place + shift, low + shift, high + shift), known]
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["route", "hash", "dk", "pack", "known"])
+                route = np.where(extra, dk[own], hashes)
+                columns = [route, hashes, dk[own], chk[own], _pack(place + shift, low + shift, high + shift), known]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["route", "hash", "dk", "chk", "pack", "known"])
 
-    return docs.select("dk", "text").mapInArrow(run, "route long, hash long, dk long, pack long, known boolean")
+    return docs.select("dk", "chk", "text").mapInArrow(run, "route long, hash long, dk long, chk int, pack long, known boolean")
 
 
 def repeated_anchors(found: DataFrame) -> DataFrame:
-    """(dk, hash, pack) of anchors whose hash is met twice or more; streams, whatever the number."""
+    """(dk, chk, hash, pack) of anchors whose hash is met twice or more; streams, whatever the number."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: pa.RecordBatch | None = None
@@ -161,7 +168,7 @@ def repeated_anchors(found: DataFrame) -> DataFrame:
             twice[:-1] |= same
             twice[0] |= before is not None and before == hashes[0]
             twice[-1] |= following is not None and following == hashes[-1]
-            return batch.filter(pa.array(twice)).select(["dk", "hash", "pack"])
+            return batch.filter(pa.array(twice)).select(["dk", "chk", "hash", "pack"])
 
         for batch in batches:
             if not batch.num_rows:
@@ -173,7 +180,7 @@ def repeated_anchors(found: DataFrame) -> DataFrame:
         if held is not None:
             yield keep(held, None)
 
-    return found.repartition("route").sortWithinPartitions("hash").mapInArrow(run, "dk long, hash long, pack long")
+    return found.repartition("route").sortWithinPartitions("hash").mapInArrow(run, "dk long, chk int, hash long, pack long")
 
 
 def splitters(docs: DataFrame, n_docs: int) -> list[bytes]:
@@ -198,7 +205,7 @@ def cut_ranges(sample: list[bytes], ranges: int) -> list[bytes]:
     return sorted({sample[len(sample) * k // ranges] for k in range(1, ranges)}) if sample else []
 
 
-PIECE = "dest int, kind int, dk long, chk int, low int, high int, n int, hash binary, dks binary, chks binary, lows binary, windows binary, known binary, shared binary, sizes binary, rest binary"
+PIECE = "dest int, kind int, dk long, chk int, low int, high int, n int, hash binary, dks binary, chks binary, lows binary, places binary, windows binary, known binary, shared binary, sizes binary, rest binary"
 _NAMES = [part.split()[0] for part in PIECE.split(", ")]
 
 
@@ -230,18 +237,18 @@ def _shared_prefixes(strings: list[bytes], sizes: np.ndarray) -> np.ndarray:
 class _Run:
     """Collects suffixes, sorts and front-codes them, and cuts the run into ranges."""
 
-    def __init__(self, cuts: list[bytes]):
-        self.cuts = cuts
+    def __init__(self, cuts: list[bytes], tell_known: bool = False):
+        self.cuts, self.tell_known = cuts, tell_known
         self.clear()
 
     def clear(self) -> None:
         self.strings: list[bytes] = []
-        self.meta: list[tuple[int, int, int, int, int, int]] = []  # dk, chk, low, windows, hash, known
+        self.meta = array("q")  # dk, chk, low, place, windows, hash, known
         self.bytes = 0
 
     def add(self, string: bytes, *meta: int) -> None:
         self.strings.append(string)
-        self.meta.append(meta)
+        self.meta.extend(meta)
         self.bytes += len(string)
 
     def flush(self) -> Iterator[pa.RecordBatch]:
@@ -250,7 +257,7 @@ class _Run:
         strings = self.strings
         order = sorted(range(len(strings)), key=strings.__getitem__)
         strings = [strings[i] for i in order]
-        dk, chk, low, windows, hashes, known = (np.array(c, dtype=np.int64)[order] for c in zip(*self.meta, strict=True))
+        dk, chk, low, place, windows, hashes, known = np.array(self.meta, dtype=np.int64).reshape(-1, 7)[order].T
         sizes = np.fromiter(map(len, strings), dtype=np.int64, count=len(strings))
         shared = _shared_prefixes(strings, sizes)
         equal = np.zeros(len(strings), dtype=bool)
@@ -258,7 +265,7 @@ class _Run:
         known = known.astype(bool)
         twice = equal.copy()
         twice[:-1] |= equal[1:]
-        told = twice & ~known
+        told = twice if self.tell_known else twice & ~known
         if told.any():
             yield _table(dest=-1 - (dk[told] & 0x3FFF), kind=np.zeros(told.sum(), dtype=np.int32), dk=dk[told], chk=chk[told], low=low[told], high=low[told] + sizes[told])
         heads = np.flatnonzero(~equal)
@@ -275,46 +282,67 @@ class _Run:
             cover = lead[a:b].copy()
             cover[0] = 0
             rest = b"".join(s[c:] for s, c in zip(names[a:b], cover.tolist(), strict=True))
-            packed = {"hash": hashes[at], "dks": dk[at], "chks": chk[at].astype(np.int32), "lows": low[at].astype(np.int32), "windows": windows[at].astype(np.int16),
+            packed = {"hash": hashes[at], "dks": dk[at], "chks": chk[at].astype(np.int32), "lows": low[at].astype(np.int32), "places": place[at].astype(np.int16), "windows": windows[at].astype(np.int16),
                       "known": known[at].astype(np.int8), "shared": cover.astype(np.int16), "sizes": sizes[at].astype(np.int16)}
             yield _table(dest=[dest], kind=[OPEN], n=[b - a], rest=[rest], **{k: [v.tobytes()] for k, v in packed.items()})
         self.clear()
 
 
 def suffix_runs(rows: DataFrame, cuts: list[bytes], length: int) -> DataFrame:
-    """Front-coded pieces of sorted runs for rows (dk, chk, text, spots of (hash, pack))."""
+    """Front-coded pieces of sorted runs for rows (dk, chk, copies, text, spots of (hash, pack))."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         made = _Run(cuts)
         for batch in batches:
-            for dk, chk, text, spots in zip(*(batch.column(c).to_pylist() for c in ("dk", "chk", "text", "spots")), strict=True):
+            for dk, chk, copies, text, spots in zip(*(batch.column(c).to_pylist() for c in ("dk", "chk", "copies", "text", "spots")), strict=True):
                 raw = text.encode()
                 for spot in spots:
                     pack = spot["pack"]
                     low = (pack >> 16) - (pack >> 8 & 255)
                     high = (pack >> 16) - (pack & 255)
-                    made.add(raw[low : high + length], dk, chk, low, high - low + 1, spot["hash"], 0)
+                    made.add(raw[low : high + length], dk, chk, low, (pack >> 16) - low, high - low + 1, spot["hash"], int(copies > 1))
+                if made.bytes >= RUN_BYTES:
+                    yield from made.flush()
+        yield from made.flush()
+
+    return rows.select("dk", "chk", "copies", "text", "spots").mapInArrow(run, PIECE)
+
+
+def side_runs(items: DataFrame, cuts: list[bytes], gram: int) -> DataFrame:
+    """The same for both sides of the anchors of rows (kind, dk, chk, low, place, rest).
+
+    A side is told by a first byte and by the last bit of what stands for ``low``.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        made = _Run([b"L" + c for c in cuts] + [b"R"] + [b"R" + c for c in cuts], tell_known=True)
+        for batch in batches:
+            for kind, dk, chk, low, place, item in zip(*(batch.column(c).to_pylist() for c in ("kind", "dk", "chk", "low", "place", "rest")), strict=True):
+                known = int(kind == SETTLED)
+                made.add(b"R" + item[place:], dk, chk, 2 * low + 1, 0, 0, 0, known)
+                made.add(b"L" + item[place : place + gram] + item[:place][::-1], dk, chk, 2 * low, 0, 0, 0, known)
                 if made.bytes >= RUN_BYTES:
                     yield from made.flush()
         yield from made.flush()
 
-    return rows.select("dk", "chk", "text", "spots").mapInArrow(run, PIECE)
+    return items.select("kind", "dk", "chk", "low", "place", "rest").mapInArrow(run, PIECE)
 
 
 def window_runs(items: DataFrame, cuts: list[bytes], length: int) -> DataFrame:
-    """The same for the single windows of rows (kind, dk, chk, low, rest)."""
+    """The same for the suffixes at ``starts`` of rows (kind, dk, chk, low, starts, rest)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         made = _Run(cuts)
         for batch in batches:
-            for kind, dk, chk, low, item in zip(*(batch.column(c).to_pylist() for c in ("kind", "dk", "chk", "low", "rest")), strict=True):
-                for j in range(len(item) - length + 1):
-                    made.add(item[j : j + length], dk, chk, low + j, 1, 0, int(kind == SETTLED))
+            columns = (batch.column(c).to_pylist() for c in ("kind", "dk", "chk", "low", "starts", "rest"))
+            for kind, dk, chk, low, starts, item in zip(*columns, strict=True):
+                for j in starts:
+                    made.add(item[j:], dk, chk, low + j, 0, len(item) - j - length + 1, 0, int(kind == SETTLED))
                 if made.bytes >= RUN_BYTES:
                     yield from made.flush()
         yield from made.flush()
 
-    return items.select("kind", "dk", "chk", "low", "rest").mapInArrow(run, PIECE)
+    return items.select("kind", "dk", "chk", "low", "starts", "rest").mapInArrow(run, PIECE)
 
 
 def _common(a: bytes, b: bytes, known: int) -> int:
@@ -386,17 +414,22 @@ def merge_runs(runs: list[Iterator[tuple[bytes, int]]]) -> Iterator[tuple[int, b
             node //= 2
 
 
-def merged(pieces: DataFrame, length: int, single: bool) -> DataFrame:
-    """(kind, dk, chk, low, high, hash, rest): intervals; with ``single`` off also open and settled suffixes."""
-    schema = "kind int, dk long, chk int, low int, high int, hash long, rest binary"
-    dtypes = {"hash": np.int64, "dks": np.int64, "chks": np.int32, "lows": np.int32, "windows": np.int16, "known": np.int8}
+def merged(pieces: DataFrame, least: int, suffixes: bool = False, sides: bool = False) -> DataFrame:
+    """(kind, dk, chk, low, high, hash, place, windows, done, rest) from the merge of all runs.
 
-    def out(kind, dk, chk, low, high, hashes, rest) -> pa.RecordBatch:
-        kinds = np.full(len(dk), kind, dtype=np.int32) if np.isscalar(kind) else kind
-        arrays = [pa.array(kinds, pa.int32()), pa.array(dk, pa.int64()), pa.array(chk, pa.int32()), pa.array(low, pa.int32()), pa.array(high, pa.int32())]
-        n = len(dk)
-        arrays += [pa.nulls(n, pa.int64()) if hashes is None else pa.array(hashes, pa.int64()), pa.nulls(n, pa.binary()) if rest is None else pa.array(rest, pa.binary())]
-        return pa.RecordBatch.from_arrays(arrays, names=[p.split()[0] for p in schema.split(", ")])
+    Intervals are the most that a suffix shares with a neighbour, from ``least`` bytes on, unless
+    it is known to repeat; with ``sides`` what it shares with either neighbour. With
+    ``suffixes`` there are also open and settled suffixes, and the number of windows ``done``.
+    """
+    schema = "kind int, dk long, chk int, low int, high int, hash long, place int, windows int, done int, rest binary"
+    kinds = {"int": pa.int32(), "long": pa.int64(), "binary": pa.binary()}
+    fields = [part.split() for part in schema.split(", ")]
+    dtypes = {"hash": np.int64, "dks": np.int64, "chks": np.int32, "lows": np.int32, "places": np.int16, "windows": np.int16, "known": np.int8}
+
+    def out(**columns) -> pa.RecordBatch:
+        n = len(columns["dk"])
+        arrays = [columns[c] if isinstance(columns.get(c), pa.Array) else pa.array(columns[c], kinds[t]) if c in columns else pa.nulls(n, kinds[t]) for c, t in fields]
+        return pa.RecordBatch.from_arrays(arrays, names=[c for c, _ in fields])
 
     def one_range(rows: list[dict]) -> Iterator[pa.RecordBatch]:
         columns = {k: np.concatenate([np.frombuffer(r[k], dtype=t) for r in rows]) for k, t in dtypes.items()}
@@ -410,29 +443,39 @@ def merged(pieces: DataFrame, length: int, single: bool) -> DataFrame:
             strings.append(string)
             shared.append(common)
         at = np.array(order)
-        dk, chk, low, windows, known, hashes = (columns[c][at] for c in ("dks", "chks", "lows", "windows", "known", "hash"))
+        dk, chk, low, places, windows, known, hashes = (columns[c][at] for c in ("dks", "chks", "lows", "places", "windows", "known", "hash"))
         sizes = np.fromiter(map(len, strings), dtype=np.int64, count=len(strings))
         before = np.array(shared, dtype=np.int64)
-        most = np.maximum(before, np.append(before[1:], 0))
-        repeated = (most >= length) & (known == 0)
-        if repeated.any():
-            yield out(INTERVAL, dk[repeated], chk[repeated], low[repeated], low[repeated] + most[repeated], None, None)
-        if single:
+        behind = np.append(before[1:], 0)
+        if sides:
+            for common in (before, behind):
+                hit = np.flatnonzero(common >= least)
+                yield out(kind=np.full(len(hit), INTERVAL), dk=dk[hit], chk=chk[hit], low=low[hit], high=low[hit] + common[hit])
             return
-        done = (known != 0) | (most - length + 1 >= windows)
+        most = np.maximum(before, behind)
+        hit = np.flatnonzero((most >= least) & (known == 0))
+        if len(hit):
+            yield out(kind=np.full(len(hit), INTERVAL), dk=dk[hit], chk=chk[hit], low=low[hit], high=low[hit] + most[hit])
+        if not suffixes:
+            return
+        settled = np.where(known != 0, windows, np.clip(most - least + 1, 0, windows))
+        done = settled == windows
         same = np.append(False, (before[1:] == sizes[1:]) & (sizes[1:] == sizes[:-1]))
         passed = ~done | ~same
         index = np.flatnonzero(passed)
         for k in range(0, len(index), 20_000):
             i = index[k : k + 20_000]
-            yield out(np.where(done[i], SETTLED, OPEN).astype(np.int32), dk[i], chk[i], low[i], low[i] + sizes[i], hashes[i], [strings[j] for j in i.tolist()])
+            yield out(
+                kind=np.where(done[i], SETTLED, OPEN), dk=dk[i], chk=chk[i], low=low[i], hash=hashes[i], place=places[i], windows=windows[i],
+                done=settled[i], rest=[strings[j] for j in i.tolist()],
+            )
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         dest, rows = None, []
         for batch in batches:
             told = batch.filter(pa.array(batch.column("kind").to_numpy() == INTERVAL))
             if told.num_rows:
-                yield out(INTERVAL, *(told.column(c).to_numpy() for c in ("dk", "chk", "low", "high")), None, None)
+                yield out(**{c: told.column(c) for c in ("kind", "dk", "chk", "low", "high")})
             for row in batch.filter(pa.array(batch.column("kind").to_numpy() != INTERVAL)).to_pylist():
                 if row["dest"] != dest and rows:
                     yield from one_range(rows)
@@ -445,6 +488,31 @@ def merged(pieces: DataFrame, length: int, single: bool) -> DataFrame:
     return pieces.repartition("dest").sortWithinPartitions("dest").mapInArrow(run, schema)
 
 
+def _open_windows(first: DataFrame, sample: list[bytes], length: int, gram: int) -> DataFrame:
+    """(kind, dk, chk, low, starts, rest): where suffixes of open windows, and of settled ones that may equal them, start."""
+    opened = first.where(F.col("kind") == OPEN)
+    settled = first.where(F.col("kind") == SETTLED).join(opened.select("hash").distinct(), "hash", "left_semi").select(opened.columns)
+    items = opened.unionByName(settled)
+    ranges = max(1, items.count() * 2 * length // RUN_BYTES)
+    sides = merged(side_runs(items, cut_ranges(sample, ranges), gram), gram + 1, sides=True)
+    shared = F.col("high") - F.col("low")
+    right = F.col("low").bitwiseAND(F.lit(1)) == 1
+    reach = sides.groupBy("dk", "chk", F.shiftright("low", 1).alias("low")).agg(
+        F.max(F.when(right, shared - 1)).alias("after"), F.collect_set(F.when(~right, shared - 1 - gram)).alias("depths")
+    )
+    reach = stored(items.join(reach, ["dk", "chk", "low"]).where(F.col("after").isNotNull() & (F.size("depths") > 0)))
+    farthest = F.col("place") - F.greatest("done", F.col("place") - F.array_max("depths"))
+    nearest = F.greatest(length - F.col("after"), F.col("place") - F.col("windows") + 1)
+    reach = reach.withColumn("near", nearest).withColumn("asks", (F.col("kind") == OPEN) & (nearest <= farthest))
+    depths = reach.select("hash", "asks", F.explode("depths").alias("depth")).groupBy("hash").agg(F.max("asks").alias("asked"), F.collect_set("depth").alias("all"))
+    held = reach.join(depths.where("asked"), "hash").where(F.col("asks") | (F.col("done") > 0))
+    # Open and settled windows of one suffix alike: what is settled stands in as what others may equal.
+    fits = F.filter("all", lambda d: (d <= F.col("place")) & (d >= F.when(F.col("asks"), F.col("near")).otherwise(F.lit(0))))
+    starts = F.transform(fits, lambda d: (F.col("place") - d).cast("int"))
+    starts = F.filter(starts, lambda j: j < F.col("windows"))
+    return held.select("kind", "dk", "chk", "low", starts.alias("starts"), "rest").where(F.size("starts") > 0)
+
+
 def _cut(rows: DataFrame) -> DataFrame:
     """(id, n_bytes, spans, kept) for rows (id, text, found)."""
     schema = f"id {dict(rows.dtypes)['id']}, n_bytes long, spans array<struct<start:long,stop:long>>, kept binary"
@@ -484,25 +552,28 @@ def dedup_passages(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     spark = df.sparkSession
     text = F.coalesce(F.col(text_col), F.lit("")).alias("text")
     docs = df.select(F.col(id_col).alias("id"), text)
-    docs = docs.withColumn("dk", F.xxhash64("id", "text")).withColumn("chk", F.hash("text"))
-    found = stored(repeated_anchors(find_anchors(docs, length, gram)))
+    docs = docs.withColumn("dk", F.xxhash64("text")).withColumn("chk", F.hash("text"))
+    texts = docs.where(F.octet_length("text") >= length).groupBy("dk", "chk").agg(F.first("text").alias("text"), F.count(F.lit(1)).alias("copies"))
+    found = stored(repeated_anchors(find_anchors(texts, length, gram)))
     release(spark)
     n_found = found.count()
     sample = splitters(docs, docs.count()) if n_found else []
-    spots = found.groupBy("dk").agg(F.collect_set(F.struct("hash", "pack")).alias("spots"))
+    spots = found.groupBy("dk", "chk").agg(F.collect_set(F.struct("hash", "pack")).alias("spots"))
 
     ranges = max(1, n_found * (length + length // 2) // RUN_BYTES)
-    pieces = suffix_runs(docs.join(spots, "dk"), cut_ranges(sample, ranges), length)
-    first = stored(merged(pieces, length, single=False))
+    pieces = suffix_runs(texts.join(spots, ["dk", "chk"]), cut_ranges(sample, ranges), length)
+    first = stored(merged(pieces, length, suffixes=True))
     release(spark)
-    opened = first.where(F.col("kind") == OPEN)
-    settled = first.where(F.col("kind") == SETTLED).join(opened.select("hash").distinct(), "hash", "left_semi")
-    items = opened.unionByName(settled.select(opened.columns))
-    total = opened.agg(F.coalesce(F.sum(F.length("rest") - length + 1), F.lit(0))).first()[0]
-    ranges = max(1, 2 * total * length // RUN_BYTES)
-    second = merged(window_runs(items, cut_ranges(sample, ranges), length), length, single=True)
-
-    spans = first.where(F.col("kind") == INTERVAL).unionByName(second).groupBy("dk", "chk")
+    windows = stored(_open_windows(first, sample, length, gram))
+    release(spark)
+    total = windows.agg(F.coalesce(F.sum(F.size("starts") * F.length("rest")), F.lit(0))).first()[0]
+    second = merged(window_runs(windows, cut_ranges(sample, max(1, total // RUN_BYTES)), length), length)
+
+    ends = docs.select("dk", "chk", F.lit(0).alias("low"), F.octet_length("text").alias("high")).where(F.col("high") >= length)
+    copied = ends.groupBy("dk", "chk", "low", "high").agg(F.count(F.lit(1)).alias("copies")).where("copies > 1")
+    columns = ["dk", "chk", "low", "high"]
+    spans = first.where(F.col("kind") == INTERVAL).select(columns).unionByName(second.select(columns)).unionByName(copied.select(columns))
+    spans = spans.groupBy("dk", "chk")
     spans = spans.agg(F.collect_set(F.struct("low", "high")).alias("found"))
     return _cut(docs.join(spans, ["dk", "chk"], "left"))
 
