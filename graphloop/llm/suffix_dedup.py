@@ -33,6 +33,7 @@ from __future__ import annotations
 from array import array
 from bisect import bisect_left
 from collections.abc import Iterator
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
@@ -128,10 +129,10 @@ def _pack(place: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndarray:
 
 
 def find_anchors(docs: DataFrame, length: int, gram: int) -> DataFrame:
-    """(route, hash, dk, chk, pack, known) for rows (dk, chk, text).
+    """(hash, dk, chk, pack) for rows (dk, chk, text); the last two bits of ``pack`` are flags.
 
-    Within a chunk all but one of equal anchors are known to repeat and need not meet others
-    of their hash: they are routed by document.
+    Bit 0: the anchor is known to repeat, within its chunk. Bit 1: it is not the first of its
+    chunk, so it need not meet others of its hash.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -146,15 +147,15 @@ def find_anchors(docs: DataFrame, length: int, gram: int) -> DataFrame:
                 known = counts[inverse] > 1
                 extra = known.copy()
                 extra[first] = False
-                route = np.where(extra, dk[own], hashes)
-                columns = [route, hashes, dk[own], chk[own], _pack(place + shift, low + shift, high + shift), known]
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["route", "hash", "dk", "chk", "pack", "known"])
+                pack = _pack(place + shift, low + shift, high + shift) << 2 | extra.astype(np.int64) << 1 | known
+                columns = [hashes, dk[own], chk[own], pack]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["hash", "dk", "chk", "pack"])
 
-    return docs.select("dk", "chk", "text").mapInArrow(run, "route long, hash long, dk long, chk int, pack long, known boolean")
+    return docs.select("dk", "chk", "text").mapInArrow(run, "hash long, dk long, chk int, pack long")
 
 
 def repeated_anchors(found: DataFrame) -> DataFrame:
-    """(dk, chk, hash, pack) of anchors whose hash is met twice or more; streams, whatever the number."""
+    """(dk, chk, pack) of anchors whose hash is met twice or more; streams, whatever the number."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: pa.RecordBatch | None = None
@@ -163,12 +164,14 @@ def repeated_anchors(found: DataFrame) -> DataFrame:
         def keep(batch: pa.RecordBatch, following: int | None) -> pa.RecordBatch:
             hashes = batch.column("hash").to_numpy()
             same = hashes[1:] == hashes[:-1]
-            twice = batch.column("known").to_numpy(zero_copy_only=False).copy()
+            pack = batch.column("pack").to_numpy()
+            twice = (pack & 1) > 0
             twice[1:] |= same
             twice[:-1] |= same
             twice[0] |= before is not None and before == hashes[0]
             twice[-1] |= following is not None and following == hashes[-1]
-            return batch.filter(pa.array(twice)).select(["dk", "chk", "hash", "pack"])
+            kept = batch.filter(pa.array(twice))
+            return pa.RecordBatch.from_arrays([kept.column("dk"), kept.column("chk"), pa.array(pack[twice] >> 2)], names=["dk", "chk", "pack"])
 
         for batch in batches:
             if not batch.num_rows:
@@ -180,7 +183,8 @@ def repeated_anchors(found: DataFrame) -> DataFrame:
         if held is not None:
             yield keep(held, None)
 
-    return found.repartition("route").sortWithinPartitions("hash").mapInArrow(run, "dk long, chk int, hash long, pack long")
+    route = F.when(F.col("pack").bitwiseAND(F.lit(2)) == 0, F.col("hash")).otherwise(F.col("dk"))
+    return found.repartition(route).sortWithinPartitions("hash").mapInArrow(run, "dk long, chk int, pack long")
 
 
 def splitters(docs: DataFrame, n_docs: int) -> list[bytes]:
@@ -288,24 +292,24 @@ class _Run:
         self.clear()
 
 
-def suffix_runs(rows: DataFrame, cuts: list[bytes], length: int) -> DataFrame:
-    """Front-coded pieces of sorted runs for rows (dk, chk, copies, text, spots of (hash, pack))."""
+def suffix_runs(rows: DataFrame, cuts: list[bytes], length: int, gram: int) -> DataFrame:
+    """Front-coded pieces of sorted runs for rows (dk, chk, copies, text, packs)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         made = _Run(cuts)
         for batch in batches:
-            for dk, chk, copies, text, spots in zip(*(batch.column(c).to_pylist() for c in ("dk", "chk", "copies", "text", "spots")), strict=True):
+            for dk, chk, copies, text, packs in zip(*(batch.column(c).to_pylist() for c in ("dk", "chk", "copies", "text", "packs")), strict=True):
                 raw = text.encode()
-                for spot in spots:
-                    pack = spot["pack"]
-                    low = (pack >> 16) - (pack >> 8 & 255)
-                    high = (pack >> 16) - (pack & 255)
-                    made.add(raw[low : high + length], dk, chk, low, (pack >> 16) - low, high - low + 1, spot["hash"], int(copies > 1))
+                for pack in packs:
+                    place = pack >> 16
+                    low, high = place - (pack >> 8 & 255), place - (pack & 255)
+                    name = int.from_bytes(blake2b(raw[place : place + gram], digest_size=8).digest(), "little", signed=True)
+                    made.add(raw[low : high + length], dk, chk, low, place - low, high - low + 1, name, int(copies > 1))
                 if made.bytes >= RUN_BYTES:
                     yield from made.flush()
         yield from made.flush()
 
-    return rows.select("dk", "chk", "copies", "text", "spots").mapInArrow(run, PIECE)
+    return rows.select("dk", "chk", "copies", "text", "packs").mapInArrow(run, PIECE)
 
 
 def side_runs(items: DataFrame, cuts: list[bytes], gram: int) -> DataFrame:
@@ -558,10 +562,10 @@ def dedup_passages(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     release(spark)
     n_found = found.count()
     sample = splitters(docs, docs.count()) if n_found else []
-    spots = found.groupBy("dk", "chk").agg(F.collect_set(F.struct("hash", "pack")).alias("spots"))
+    spots = found.groupBy("dk", "chk").agg(F.collect_set("pack").alias("packs"))
 
     ranges = max(1, n_found * (length + length // 2) // RUN_BYTES)
-    pieces = suffix_runs(texts.join(spots, ["dk", "chk"]), cut_ranges(sample, ranges), length)
+    pieces = suffix_runs(texts.join(spots, ["dk", "chk"]), cut_ranges(sample, ranges), length, gram)
     first = stored(merged(pieces, length, suffixes=True))
     release(spark)
     windows = stored(_open_windows(first, sample, length, gram))
