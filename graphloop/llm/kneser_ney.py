@@ -19,6 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from graphloop.materialize import release, stored
 
@@ -61,7 +62,7 @@ def count_grams(trusted: DataFrame, order: int = ORDER) -> DataFrame:
             for lang, text in zip(batch.column("lang").to_pylist(), batch.column("text").to_pylist(), strict=True):
                 held.setdefault(lang if lang is not None else POOLED, []).append(grams(text, order))
                 size += len(text)
-                if size >= 4 * CHUNK:
+                if size >= CHUNK:
                     yield from flush()
                     held, size = {}, 0
         yield from flush()
@@ -147,25 +148,35 @@ class Lookup:
 
 
 def _score_by_lookup(rows: DataFrame, model: DataFrame, order: int) -> DataFrame:
-    frame = model.toPandas().sort_values(["lang", "kind", "code"])
-    tables = {
-        lang: Lookup({int(kind): (part["code"].to_numpy(), part["value"].to_numpy()) for kind, part in own.groupby("kind")}, order)
-        for lang, own in frame.groupby("lang")
-    }
+    table = model.withColumn("value", F.col("value").cast("float")).toArrow()
+    lang = table.column("lang").combine_chunks().dictionary_encode()
+    names, lang = lang.dictionary.to_pylist(), lang.indices.to_numpy()
+    kind, code, value = (table.column(c).to_numpy() for c in ("kind", "code", "value"))
+    del table
+    by = np.lexsort((code, kind, lang))
+    lang, kind, code, value = lang[by], kind[by], code[by], value[by]
+    cuts = np.flatnonzero((np.diff(lang) != 0) | (np.diff(kind) != 0)) + 1
+    parts: dict[str, dict] = {}
+    for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(lang)], strict=True):
+        if b > a:
+            parts.setdefault(names[lang[a]], {})[int(kind[a])] = (code[a:b], value[a:b])
+    tables = {name: Lookup(own, order) for name, own in parts.items()}
     held = rows.sparkSession.sparkContext.broadcast(tables)
 
-    @F.pandas_udf("double")
-    def score(lang, text):
-        import pandas as pd
+    base = rows.select("text", "lang", "id", "n_grams")
+    schema = T.StructType([*base.schema.fields[1:], T.StructField("log_p", T.DoubleType())])
 
-        out = np.full(len(text), np.nan)
-        for i, (name, value) in enumerate(zip(lang, text, strict=True)):
-            if value:
-                table = held.value.get(name) or held.value.get(POOLED)
-                out[i] = table.score(grams(value, order)).sum() if table else np.nan
-        return pd.Series(out)
+    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for at in range(0, whole.num_rows, 256):
+                batch = whole.slice(at, 256)
+                sums = []
+                for text, name in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                    table = held.value.get(name) or held.value.get(POOLED)
+                    sums.append(float(table.score(grams(text, order)).sum()) if text and table else None)
+                yield pa.RecordBatch.from_arrays([*batch.columns[1:], pa.array(sums, pa.float64())], names=schema.names)
 
-    return rows.withColumn("log_p", F.nullif(score("lang", "text"), F.lit(float("nan"))))
+    return base.mapInArrow(score, schema)
 
 
 def _score_by_join(rows: DataFrame, model: DataFrame, order: int) -> DataFrame:
@@ -220,7 +231,8 @@ def classify(
     base = df.select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
     trusted_ids = trusted_ids.select("id").where("id is not null").distinct()
     unseen = F.pmod(F.xxhash64(F.lit("fold"), "id"), F.lit(folds)) == 0
-    trusted = base.join(trusted_ids.where(~unseen), "id", "left_semi").where(F.length("text") > 0)
+    # Ids grow with the corpus, so they are never broadcast: the same plan at every size.
+    trusted = base.join(trusted_ids.where(~unseen).hint("merge"), "id", "left_semi").where(F.length("text") > 0)
     counts = stored(count_grams(trusted, order))
     release(spark)
     model = stored(probabilities(counts, order))
