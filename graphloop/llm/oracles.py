@@ -130,10 +130,32 @@ judged AS (
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, (failed & 3) <> 0 AS base_failed, failed = 0 AS kept, failed FROM judged
 """
 
+_NEAR = rf"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, regexp_extract_all({FOLD.format("coalesce(text, '')")}, '[^\x20\x09-\x0D]+') AS w FROM documents),
+sets AS MATERIALIZED (
+  SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 3 THEN [array_to_string(w, ' ')]
+    ELSE list_distinct(list_transform(range(1, len(w) - 1), lambda i: w[i] || ' ' || w[i + 1] || ' ' || w[i + 2])) END AS s
+  FROM words),
+sized AS MATERIALIZED (SELECT doc_id, len(s)::BIGINT AS n, md5(array_to_string(list_sort(s), chr(10))) AS name FROM sets),
+firsts AS MATERIALIZED (SELECT name, min(doc_id) AS doc_id, any_value(n) AS n FROM sized WHERE n > 0 GROUP BY name),
+grams AS MATERIALIZED (SELECT doc_id, n, unnest(s) AS gram FROM firsts JOIN sets USING (doc_id)),
+links AS MATERIALIZED (
+  SELECT a.doc_id AS x, b.doc_id AS y FROM grams a JOIN grams b ON a.gram = b.gram AND a.doc_id <> b.doc_id
+  GROUP BY a.doc_id, b.doc_id, a.n, b.n HAVING 100 * count(*) >= 85 * (a.n + b.n - count(*))),
+parts(doc_id, component) USING KEY (doc_id) AS (
+  SELECT doc_id, doc_id FROM firsts
+  UNION SELECT l.y, min(p.component) FROM parts p JOIN links l ON p.doc_id = l.x JOIN recurring.parts r ON r.doc_id = l.y
+  GROUP BY l.y, r.component HAVING min(p.component) < r.component)
+SELECT d.doc_id, d.n AS n_shingles, coalesce(p.component, d.doc_id) AS component_id, d.doc_id = coalesce(p.component, d.doc_id) AS kept
+FROM sized d LEFT JOIN firsts f ON d.name = f.name AND d.n > 0 LEFT JOIN parts p ON p.doc_id = f.doc_id
+"""
+
 SQL = {
     "op2_mix_sources": _MIX,
     "op3_document_fingerprints": _FINGERPRINTS,
     "op4_quality_rules": _QUALITY,
+    "op5_minhash_near_dedup": _NEAR,
     "op7_url_filter": _URLS,
     "op10_line_dedup": _LINES,
 }
