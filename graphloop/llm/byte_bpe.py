@@ -6,7 +6,8 @@ function on the eight states of a small automaton. These functions form a finite
 their composition is a table look-up, and all states of a batch come from a blocked
 associative scan. Where a state meets a class that starts a slice there is a boundary.
 
-Slices feed a cache of merged pairs. Short slices that it lacks are merged together, a matrix of
+Equal slices of a stretch are found by hash, and the distinct ones feed a cache of merged
+pairs. Short slices that it lacks are merged together, a matrix of
 parts with one merge in every row at a time; a long one is merged by a heap in O(n log n), so
 a slice of any length is handled whole. Token ids keep the byte offset of each token, with
 which any stretch of a text can be decoded by itself.
@@ -26,6 +27,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from graphloop.llm.shingles import BYTE_CODES, STEP, mix
+
 # Code points with the White_Space property.
 WHITE_SPACE = [0x09, 0x0A, 0x0B, 0x0C, 0x0D, 0x20, 0x85, 0xA0, 0x1680, 0x2000, 0x2001, 0x2002, 0x2003, 0x2004, 0x2005, 0x2006,
                0x2007, 0x2008, 0x2009, 0x200A, 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
@@ -36,11 +39,12 @@ LONG_ENDINGS = ("re", "ve", "ll")
 LETTER, NUMBER, OTHER, SPACE_RUN, SPACE_BEFORE, SPACE_ALONE, APOSTROPHE_1, APOSTROPHE_2, RESET = range(9)
 _ENDED, _IN_LETTERS, _IN_NUMBERS, _IN_OTHERS, _IN_SPACES, _AFTER_SPACE, _TAKE_1, _TAKE_2 = range(8)
 
-CHUNK_CHARS = 250_000
-CACHE_SLICES = 100_000
-CACHE_CHARS = 64
-MATRIX_BYTES = (8, 16, 32)
+CHUNK_CHARS = 500_000
+CACHE_SLICES = 80_000
+CACHE_BYTES = 64
+MATRIX_BYTES = (6, 9, 12, 16, 32)
 NO_PAIR = np.int32(2**31 - 1)
+_WIDTH = [next(w for w in MATRIX_BYTES if n <= w) for n in range(MATRIX_BYTES[-1] + 1)]
 
 
 def _step(state: int, kind: int) -> tuple[int, bool]:
@@ -256,14 +260,13 @@ class Vocabulary:
         """``merge`` for many slices at once."""
         out: list = [None] * len(slices)
         groups: dict[int, list[int]] = {width: [] for width in MATRIX_BYTES}
-        for i, piece in enumerate(slices):
-            rank = self.ranks.get(piece)
+        for i, (piece, rank) in enumerate(zip(slices, map(self.ranks.get, slices), strict=True)):
             if rank is not None:
                 out[i] = (rank,)
             elif len(piece) > MATRIX_BYTES[-1]:
                 out[i] = self.merge(piece)
             else:
-                groups[next(w for w in MATRIX_BYTES if len(piece) <= w)].append(i)
+                groups[_WIDTH[len(piece)]].append(i)
         for width, rows in groups.items():
             for at in range(0, len(rows), 20_000):
                 part = rows[at : at + 20_000]
@@ -321,19 +324,30 @@ class Encoder:
 
     def __init__(self, vocabulary: Vocabulary):
         self.vocabulary = vocabulary
-        self.merged: dict[str, tuple[int, ...]] = {}
-
-    def _merge(self, pieces: list[str]) -> list[tuple[int, ...]]:
-        """Token ids of every piece; new short ones stay in the cache while it has room."""
-        missing = list(set(pieces).difference(self.merged))
-        if len(self.merged) + len(missing) > CACHE_SLICES:
-            self.merged.clear()
-            missing = list(set(pieces))
-        self.merged.update(zip(missing, self.vocabulary.merge_many([p.encode() for p in missing]), strict=True))
-        found = list(map(self.merged.__getitem__, pieces))
-        for piece in missing:
-            if len(piece) > CACHE_CHARS:
-                del self.merged[piece]
+        self.merged: dict[bytes, tuple[int, ...]] = {}
+        self.older: dict[bytes, tuple[int, ...]] = {}
+
+    def _merge(self, pieces: list[bytes]) -> list[tuple[int, ...]]:
+        """Token ids of distinct pieces.
+
+        Short pieces stay in a cache of two generations: when the younger is full it becomes
+        the older, and what is still in use moves over.
+        """
+        if len(self.merged) > CACHE_SLICES:
+            self.merged, self.older = {}, self.merged
+        found = list(map(self.merged.get, pieces))
+        lost = [i for i, ids in enumerate(found) if ids is None]
+        missing = []
+        for i in lost:
+            ids = self.older.get(pieces[i])
+            if ids is None:
+                missing.append(i)
+            else:
+                found[i] = self.merged[pieces[i]] = ids
+        for i, ids in zip(missing, self.vocabulary.merge_many([pieces[i] for i in missing]), strict=True):
+            found[i] = ids
+            if len(pieces[i]) <= CACHE_BYTES:
+                self.merged[pieces[i]] = ids
         return found
 
     def encode(self, texts: list[str]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -353,14 +367,37 @@ class Encoder:
         firsts = np.cumsum(lengths + 1) - (lengths + 1)
         resets = firsts[1:] - 1
         cuts = boundaries(joined, resets)
-        stops = np.append(cuts[1:], len(joined))
+        raw = joined.encode()
+        data = np.frombuffer(raw, dtype=np.uint8)
+        starts, seams = cuts, resets
+        if len(raw) > len(joined):  # places in code points become places in bytes
+            cps = np.frombuffer(joined.encode("utf-32-le"), dtype=np.uint32)
+            widths = 1 + (cps >= 0x80).astype(np.int64) + (cps >= 0x800) + (cps >= 0x10000)
+            places = np.cumsum(widths) - widths
+            starts, seams = places[cuts], places[resets]
+        spans = np.diff(np.append(starts, len(raw)))
         if len(resets):
             keep = ~np.isin(cuts, resets, assume_unique=True)
-            cuts, stops = cuts[keep], stops[keep]
-        found = self._merge([joined[a:b] for a, b in zip(cuts.tolist(), stops.tolist(), strict=True)])
+            cuts = cuts[keep]
+        else:
+            keep = slice(None)
+        if not len(cuts):
+            return np.empty(0, dtype=np.int32), np.zeros(len(texts), dtype=np.int64)
+        with np.errstate(over="ignore"):
+            powers = np.multiply.accumulate(np.full(int(spans.max()), STEP, dtype=np.uint64))
+            codes = BYTE_CODES[data] * powers[np.arange(len(raw)) - np.repeat(starts, spans)]
+            codes[seams] = 0
+            hashes = mix(np.add.reduceat(codes, starts) + spans.astype(np.uint64))[keep]
+        starts, spans = starts[keep], spans[keep]
+        _, first, same = np.unique(hashes, return_index=True, return_inverse=True)
+        begin = starts[first]
+        found = self._merge([raw[a:b] for a, b in zip(begin.tolist(), (begin + spans[first]).tolist(), strict=True)])
         sizes = np.fromiter(map(len, found), dtype=np.int64, count=len(found))
-        ids = np.fromiter(chain.from_iterable(found), dtype=np.int32, count=int(sizes.sum()))
+        flat = np.fromiter(chain.from_iterable(found), dtype=np.int32, count=int(sizes.sum()))
+        offset = (np.cumsum(sizes) - sizes)[same]
+        sizes = sizes[same]
         upto = np.append(0, np.cumsum(sizes))
+        ids = flat[np.repeat(offset - upto[:-1], sizes) + np.arange(upto[-1])]
         bounds = np.append(np.searchsorted(cuts, firsts), len(cuts))
         return ids, upto[bounds[1:]] - upto[bounds[:-1]]
 

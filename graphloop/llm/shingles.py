@@ -8,8 +8,8 @@ import numpy as np
 
 CHUNK_BYTES = 2_000_000
 _RNG = np.random.Generator(np.random.PCG64(20))
-_BYTE = _RNG.integers(1, 2**63, 256, dtype=np.uint64)
-_STEP = np.uint64(0x9E3779B97F4A7C15)
+BYTE_CODES = _RNG.integers(1, 2**63, 256, dtype=np.uint64)
+STEP = np.uint64(0x9E3779B97F4A7C15)
 _FOLD = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 _IS_SPACE = np.zeros(256, dtype=bool)
 _IS_SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
@@ -36,8 +36,8 @@ def word_hashes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     begins = np.cumsum(sizes) - sizes
     place = np.arange(int(sizes.sum())) - np.repeat(begins, sizes)
     with np.errstate(over="ignore"):
-        powers = np.multiply.accumulate(np.full(int(sizes.max()), _STEP, dtype=np.uint64))
-        hashes = np.add.reduceat(_BYTE[joined[inside]] * powers[place], begins)
+        powers = np.multiply.accumulate(np.full(int(sizes.max()), STEP, dtype=np.uint64))
+        hashes = np.add.reduceat(BYTE_CODES[joined[inside]] * powers[place], begins)
         hashes = mix(hashes + sizes.astype(np.uint64))
     return hashes, np.append(np.searchsorted(starts, firsts), len(starts))
 
@@ -60,7 +60,7 @@ def shingle_sets(texts: list[str | None], width: int) -> Iterator[np.ndarray]:
             n = max(0, len(words) - width + 1)
             grams = np.zeros(n, dtype=np.uint64)
             for k in range(width):
-                grams = grams * _STEP + words[k : k + n]
+                grams = grams * STEP + words[k : k + n]
             grams = mix(grams)
             for a, b in zip(upto[:-1].tolist(), upto[1:].tolist(), strict=True):
                 if b - a >= width:
@@ -68,7 +68,7 @@ def shingle_sets(texts: list[str | None], width: int) -> Iterator[np.ndarray]:
                 elif b > a:
                     whole = np.uint64(b - a)
                     for w in words[a:b]:
-                        whole = whole * _STEP + w
+                        whole = whole * STEP + w
                     yield mix(np.array([whole ^ np.uint64(0xA5A5A5A5)], dtype=np.uint64))
                 else:
                     yield np.empty(0, dtype=np.uint64)
