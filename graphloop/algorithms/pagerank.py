@@ -43,11 +43,11 @@ def pagerank_procedure(edges: DataFrame, nodes: DataFrame | None = None, damping
         return _certain(carried.groupBy(F.col("dst").alias("node")).agg(F.sum(F.col("rank") * F.col("weight")).alias("share")))
 
     def leftover(env) -> Relation:
-        return Relation(env["share"].df.agg((1 - F.coalesce(F.sum("share"), F.lit(0.0))).alias("unshared")), rows=1)
+        return Relation(env["share"].df.agg((1 - F.coalesce(F.sum("share"), F.lit(0.0))).alias("leftover")), rows=1)
 
     def combine(env) -> Relation:
-        both = env["nodes"].df.join(env["share"].df, "node", "left").join(F.broadcast(env["unshared"].df)).join(F.broadcast(env["n"].df))
-        return _certain(both.select("node", (F.coalesce("share", F.lit(0.0)) + F.col("unshared") / F.col("n")).alias("rank")))
+        both = env["nodes"].df.join(env["share"].df, "node", "left").join(F.broadcast(env["leftover"].df)).join(F.broadcast(env["n"].df))
+        return _certain(both.select("node", (F.coalesce("share", F.lit(0.0)) + F.col("leftover") / F.col("n")).alias("rank")))
 
     proc = Procedure()
     proc.let("nodes", lambda env: _certain(_kept(nodes if nodes is not None else node_set(edges))))
@@ -55,7 +55,7 @@ def pagerank_procedure(edges: DataFrame, nodes: DataFrame | None = None, damping
     proc.let("links", (lambda env: _certain(_kept(links(env).df))) if hoist else links)
     proc.let("rank", lambda env: _certain(env["nodes"].df.join(F.broadcast(env["n"].df)).select("node", (F.lit(1.0) / F.col("n")).alias("rank"))), reads=("nodes", "n"))
     body = Procedure().let("share", spread, reads=("links", "rank"))
-    body.let("unshared", leftover, lazy=True, reads=("share",)).let("rank", combine, lazy=True, reads=("nodes", "n", "share", "unshared"))
+    body.let("leftover", leftover, lazy=True, reads=("share",)).let("rank", combine, lazy=True, reads=("nodes", "n", "share", "leftover"))
     return proc.loop(body, until or Times(10)).ret("rank")
 
 

@@ -14,19 +14,18 @@ from graphloop.plans.runtime import RunResult, run
 def reach_procedure(source: int, direction: str = "out", include_source: bool = False, check: str = "fingerprint") -> Procedure:
     """Allowed neighbours of the source, then of what is known, until nothing is new.
 
-    Reads the predicates ``step`` and ``blocked`` (a node twice). The source is not part of
+    The answer binds ``node``. Reads the predicates ``step`` and ``blocked`` (a node twice). The source is not part of
     the answer unless it can be come back to, or ``include_source``.
     """
-    forward, backward = q.Pattern("?s", "step", "?adj"), q.Pattern("?adj", "step", "?s")
-    edge = {"out": forward, "in": backward, "both": q.Union(forward, backward)}[direction]
-    allowed = q.Minus(edge, q.Project(q.Pattern("?adj", "blocked", "?b"), ("adj",)))
-    seed = q.Distinct(q.Project(q.Filter(q.VarRef("allowed"), q.call("=", "?s", source)), ((q.Var("adj"), "s"),)))
+    ahead, back = q.Pattern("?from", "step", "?node"), q.Pattern("?node", "step", "?from")
+    edge = {"out": ahead, "in": back, "both": q.Union(ahead, back)}[direction]
+    passable = q.Minus(edge, q.Project(q.Pattern("?node", "blocked", "?why"), ("node",)))
+    first = q.Project(q.Filter(q.VarRef("passable"), q.call("=", "?from", source)), ("node",))
     if include_source:
-        seed = q.Distinct(q.Union(seed, q.Values(("s",), ((source,),))))
-    body = Procedure()
-    body.let("adjacent", q.Project(q.Join(q.VarRef("reachable"), q.VarRef("allowed")), ((q.Var("adj"), "s"),)))
-    body.let("reachable", q.Distinct(q.Union(q.VarRef("adjacent"), q.VarRef("reachable"))))
-    return Procedure().let("allowed", allowed, lazy=True).let("reachable", seed).loop(body, Fixpoint("reachable", check)).ret("reachable")
+        first = q.Union(first, q.Values(("node",), ((source,),)))
+    onward = q.Join(q.Project(q.VarRef("known"), ((q.Var("node"), "from"),)), q.VarRef("passable"))
+    body = Procedure().let("found", q.Project(onward, ("node",))).let("known", q.Distinct(q.Union(q.VarRef("found"), q.VarRef("known"))))
+    return Procedure().let("passable", passable, lazy=True).let("known", q.Distinct(first)).loop(body, Fixpoint("known", check)).ret("known")
 
 
 def graph_catalog(edges: DataFrame, blocked: DataFrame | None = None) -> Catalog:

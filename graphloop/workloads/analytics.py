@@ -107,13 +107,13 @@ def reach_sql(closed: int, start: int, edges: str | None = None, direction: str
 
 for _name, _closed, _start in (("reach_closed_hub", HUB_REGION, 5), ("reach_avoid", EASY_REGION, 5), ("reach_nothing", HUB_REGION, 0)):
     add(_name, reach_sql(_closed, _start))(
-        lambda spark, sf_dir, c=_closed, s=_start: reach_avoiding(lanes(spark, sf_dir), s, region(spark, sf_dir, c)).df.withColumnRenamed("s", "node")
+        lambda spark, sf_dir, c=_closed, s=_start: reach_avoiding(lanes(spark, sf_dir), s, region(spark, sf_dir, c)).df
     )
 
 
 @add("reach_avoid_in", reach_sql(EASY_REGION, 5, "SELECT src, dst FROM g", "in"))
 def reach_avoid_in(spark, sf_dir):
-    return reach_avoiding(pairs(spark, sf_dir, "g1"), 5, region(spark, sf_dir, EASY_REGION), direction="in").df.withColumnRenamed("s", "node")
+    return reach_avoiding(pairs(spark, sf_dir, "g1"), 5, region(spark, sf_dir, EASY_REGION), direction="in").df
 
 
 def check(name: str, differences: int, spark):
@@ -195,10 +195,10 @@ for _name, _var, _text in (
     ("pr_nodes", "nodes", "SELECT node FROM nodes"),
     ("pr_n", "n", "SELECT n::BIGINT AS n FROM n"),
     ("pr_share_1", "share", "SELECT node, round(share, 6) AS share FROM s1"),
-    ("pr_leftover_1", "unshared", "SELECT round(1 - sum(share), 6) AS unshared FROM s1"),
+    ("pr_leftover_1", "leftover", "SELECT round(1 - sum(share), 6) AS leftover FROM s1"),
 ):
     add(_name, f"{_ONE} {_text}")(
-        lambda spark, sf_dir, v=_var: rounded(_first_round(spark, sf_dir)[v].df, v) if v in ("share", "unshared") else _first_round(spark, sf_dir)[v].df
+        lambda spark, sf_dir, v=_var: rounded(_first_round(spark, sf_dir)[v].df, v) if v in ("share", "leftover") else _first_round(spark, sf_dir)[v].df
     )
 
 

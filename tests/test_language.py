@@ -161,7 +161,7 @@ def test_rewrites(spark):
     inner = Procedure().let("k", q.VarRef("base")).let("x", q.Join(q.VarRef("x"), q.VarRef("k")))
     moved = rewrite.hoist_invariants(Loop(tuple(inner.statements), Times(2)))
     assert [getattr(s, "var", "loop") for s in moved] == ["k", "loop"]
-    assert rewrite.dead_after(proc)["allowed"] == 2
+    assert rewrite.dead_after(proc)["passable"] == 2
 
 
 def test_edges_stay_where_they_lie(spark):
