@@ -22,6 +22,7 @@ FANOUT = 16
 LEAF_HEX = 6
 ROWS_A_RANGE = 2_000
 BYTES_A_RANGE = 8_000_000
+CUTS = 1 << 20
 
 
 def paragraphs(text: Column) -> Column:
@@ -93,9 +94,10 @@ def locate_edits(old: DataFrame, new: DataFrame) -> DataFrame:
 def with_next(df: DataFrame, id_col: str, columns: list[str]) -> DataFrame:
     """Adds next_<column>: the value in the next row by descending id, after the last the first.
 
-    Rows go once, by ranges of ids of equal width that hold about ``ROWS_A_RANGE`` rows each
-    where ids are spread evenly; only the first row of each range crosses over, by a join of
-    as many rows as there are ranges. Null ids come last; ties go by the columns themselves.
+    Rows go once, by ranges of ids of equal width for about ``ROWS_A_RANGE`` rows each; a range
+    that holds far more, as where ids lie in clusters, is cut again in proportion. Only the
+    first row of each range crosses over, by a join of as many rows as there are ranges.
+    Null ids come last; ties go by the columns themselves.
     """
     wide = sum((F.coalesce(F.octet_length(c), F.lit(0)) for c in columns), F.lit(0))
     span = df.agg(F.min(id_col).alias("lo"), F.max(id_col).alias("hi"), F.count(F.lit(1)).alias("n"), F.sum(wide).alias("bytes")).first()
@@ -104,21 +106,28 @@ def with_next(df: DataFrame, id_col: str, columns: list[str]) -> DataFrame:
     lo, hi = span["lo"] or 0, span["hi"] or 0
     ranges = max(1, span["n"] // ROWS_A_RANGE, span["bytes"] // BYTES_A_RANGE)
     width = max(1, -(-(hi - lo + 1) // ranges))
-    cut = F.coalesce(F.floor((F.lit(hi) - F.col(id_col)) / F.lit(width)).cast("long"), F.lit(ranges + 1).cast("long"))
-    dealt = df.withColumn("_range", cut)
+    # In doubles nothing overflows, and order is kept even where neighbours round to one value.
+    spot = (F.lit(float(hi)) - F.col(id_col).cast("double")) / F.lit(float(width))
+    cell = F.coalesce(F.floor(spot).cast("long"), F.lit(ranges + 1).cast("long"))
+    crowded = df.select(cell.alias("_cell")).groupBy("_cell").agg(F.count(F.lit(1)).alias("_n")).where(F.col("_n") > 4 * ROWS_A_RANGE)
+    crowded = stored(crowded.select("_cell", F.least(F.ceil(F.col("_n") / ROWS_A_RANGE), F.lit(CUTS)).cast("long").alias("_parts")))
+    dealt = df.withColumn("_cell", cell)
+    if crowded.isEmpty():
+        dealt = dealt.withColumn("_range", F.col("_cell") * CUTS).drop("_cell")
+    else:  # at most one crowded cell for each 4 * ROWS_A_RANGE rows
+        part = F.least(F.floor((spot - F.col("_cell")) * F.col("_parts")), F.col("_parts") - 1)
+        dealt = dealt.join(F.broadcast(crowded), "_cell", "left").withColumn("_range", F.col("_cell") * CUTS + F.coalesce(part, F.lit(0))).drop("_cell", "_parts")
+    placed = dealt
     order = [F.col(id_col).desc_nulls_last(), *(F.col(c) for c in columns)]
     inside = Window.partitionBy("_range").orderBy(*order)
     dealt = dealt.withColumn("_after", F.lead(F.struct(*columns)).over(inside))
 
-    rank = F.struct(F.col(id_col).isNull(), -F.coalesce(F.col(id_col), F.lit(0)), *(F.col(c) for c in columns))
-    ids = df.select(cut.alias("_range"), F.col(id_col).alias("_id")).groupBy("_range").agg(F.max("_id").alias("_id"))
+    ids = placed.select("_range", F.col(id_col).alias("_id")).groupBy("_range").agg(F.max("_id").alias("_id"))
     firsts = (
-        df.withColumn("_range", cut)
-        .join(F.broadcast(ids) if ranges < 1_000_000 else ids, ["_range"])
+        placed.join(F.broadcast(ids) if ranges < 1_000_000 else ids, ["_range"])
         .where(F.col(id_col).eqNullSafe(F.col("_id")))
         .groupBy("_range")
-        .agg(F.min(F.struct(rank.alias("r"), F.struct(*columns).alias("v"))).alias("head"))
-        .select("_range", F.col("head.v").alias("_head"))
+        .agg(F.min(F.struct(*columns)).alias("_head"))
     )
     firsts = stored(firsts)
     ring = Window.partitionBy(F.lit(0)).orderBy("_range")

@@ -123,6 +123,15 @@ def test_next_over_many_ranges(spark, monkeypatch):
     assert fingerprint.with_next(df.where("false"), "id", ["text"]).count() == 0
 
 
+def test_next_over_clustered_and_extreme_ids(spark, monkeypatch):
+    monkeypatch.setattr(fingerprint, "ROWS_A_RANGE", 2)
+    ids = sorted({-(2**63), 2**63 - 1, 0, *range(5_000_000, 5_000_060)})
+    df = spark.createDataFrame([(i, f"t{i}") for i in ids] + [(None, "none")], "id long, text string")
+    out = {r.id: r.next_text for r in fingerprint.with_next(df, "id", ["text"]).collect()}
+    assert out[ids[0]] == "none" and out[None] == f"t{ids[-1]}"
+    assert all(out[i] == f"t{before}" for before, i in zip(ids[:-1], ids[1:], strict=True))
+
+
 def test_edits_are_located(spark):
     lines = [f"line {k}" for k in range(50)]
     changed = list(lines)
