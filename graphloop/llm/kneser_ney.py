@@ -5,7 +5,8 @@ counts of lower orders are counts of distinct higher n-grams, and each order's p
 come from a join with the next lower order, sharded by language and n-gram. A model of every
 language and one of all languages together ("*") share the tables. Documents are scored by
 the highest order that knows an n-gram, with the usual back-off weights below it, and judged
-by a quantile of trusted documents of their language that the model has not seen.
+by trusted documents that the model has not seen: how far these lie above the median of their
+language, for their length, sets how far others may.
 
 Scoring looks n-grams up in a broadcast copy of the tables where these have at most
 ``BROADCAST_ROWS`` rows, which is checked; beyond that it joins the n-gram counts of documents with them.
@@ -28,6 +29,7 @@ BITS = 12
 POOLED = "*"
 BROADCAST_ROWS = 4_000_000
 CHUNK = 1_000_000
+STEADY = 400
 _ALPHABET = 2**BITS
 
 
@@ -205,14 +207,36 @@ def _score_by_join(rows: DataFrame, model: DataFrame, order: int) -> DataFrame:
     return numbered.join(sums, "_row", "left").drop("_row")
 
 
+def _looseness() -> Column:
+    """How much wider than in long texts perplexities of the row's length scatter."""
+    return F.sqrt(1 + STEADY / F.col("n_grams"))
+
+
+def _limits(judged: DataFrame, quantile: float) -> tuple[DataFrame, DataFrame]:
+    """(own, middle) by language and pooled, and one row (spread), from rows (lang, n_grams, perplexity).
+
+    ``middle`` is the median logarithm. ``spread`` is the ``quantile`` over all languages of the
+    distance from it, divided by what is usual at the length: a language with few rows has no
+    tail of its own, and a short text that is odd by chance does not widen the limit of long ones.
+    Where rows are so few that the quantile is their maximum, twice the second largest is the most.
+    """
+    rows = judged.select(F.coalesce("lang", F.lit(POOLED)).alias("lang"), "n_grams", F.log("perplexity").alias("x"))
+    own = F.explode(F.array_distinct(F.array("lang", F.lit(POOLED)))).alias("own")
+    middles = rows.select(own, "x").groupBy("own").agg(F.percentile_approx("x", 0.5, 10_000).alias("middle"))
+    apart = rows.join(F.broadcast(middles), rows["lang"] == middles["own"])
+    apart = stored(apart.select(((F.col("x") - F.col("middle")) / _looseness()).alias("u")))
+    second = apart.orderBy(F.desc("u")).limit(2).agg(F.min("u").alias("second"))
+    tail = apart.agg(F.percentile_approx("u", quantile, 10_000).alias("tail"))
+    return middles, tail.crossJoin(second).select(F.least("tail", F.when(F.col("second") > 0, 2 * F.col("second"))).alias("spread"))
+
+
 def classify(
     df: DataFrame,
     trusted_ids: DataFrame,
     id_col: str = "doc_id",
     text_col: str = "text",
     lang_col: str = "lang",
-    quantile: float = 0.995,
-    slack: float = 1.25,
+    quantile: float = 0.99,
     folds: int = 5,
     order: int = ORDER,
     broadcast_rows: int = BROADCAST_ROWS,
@@ -220,10 +244,10 @@ def classify(
     """(id, lang, n_grams, perplexity, threshold, kept) of every row.
 
     ``trusted_ids`` has the ids of trusted rows in a column ``id``; one in ``folds``, by a hash
-    of the id, is kept from the model and sets the thresholds: ``slack`` times the ``quantile``
-    of their perplexities, by language. Perplexity is per character
+    of the id, is kept from the model and sets the thresholds (``_limits``), by language and
+    length. Perplexity is per character
     with the end of the text; null and empty texts have none and are not kept. A null language,
-    or one without trusted text, is judged by the pooled model and threshold. Without
+    or one without trusted text, is judged by the pooled model and median. Without
     any trusted text there is no perplexity, and every text that is not empty is kept. Rows are
     judged one by one, repeats too; an empty table gives an empty result.
     """
@@ -242,11 +266,12 @@ def classify(
     scored = score(rows, model, order).select("id", "lang", "n_grams", F.exp(-F.col("log_p") / F.col("n_grams")).alias("perplexity"))
     scored = stored(scored)
     judged = scored.join(trusted_ids.where(unseen), "id", "left_semi").where(F.col("perplexity").isNotNull())
-    both = F.explode(F.array_distinct(F.array(F.coalesce("lang", F.lit(POOLED)), F.lit(POOLED)))).alias("own")
-    limits = judged.select(both, "perplexity").groupBy("own").agg((F.percentile_approx("perplexity", quantile, 10_000) * slack).alias("threshold"))
-    pooled = limits.where(F.col("own") == POOLED).select(F.col("threshold").alias("pooled"))
-    out = scored.join(F.broadcast(limits), scored["lang"] == limits["own"], "left").join(F.broadcast(pooled), F.lit(True), "left")
-    out = out.withColumn("threshold", F.coalesce("threshold", "pooled"))
+    middles, spread = _limits(judged, quantile)
+    pooled = middles.where(F.col("own") == POOLED).select(F.col("middle").alias("pooled"))
+    out = scored.join(F.broadcast(middles), scored["lang"] == middles["own"], "left").join(F.broadcast(pooled.crossJoin(spread)), F.lit(True), "left")
+    # The last digits of the logarithm must not reject the row that sets the limit.
+    limit = F.exp(F.coalesce("middle", "pooled") + F.col("spread") * _looseness()) * (1 + 1e-9)
+    out = out.withColumn("threshold", limit)
     kept = (F.col("n_grams") > 1) & F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(True))
     return out.select("id", "lang", "n_grams", "perplexity", "threshold", kept.alias("kept"))
 

@@ -90,3 +90,25 @@ def test_without_trusted_text_and_empty(spark):
     out = kn.classify(docs, none).collect()
     assert all(r.perplexity is None and r.kept for r in out) and len(out) == 4
     assert kn.classify(docs.where("false"), none).count() == 0
+
+
+def test_a_short_odd_row_does_not_set_the_limit(spark):
+    rows = corpus(5, 400)
+    # Trusted by mistake and unseen by the model: the worst that a held-out row can be.
+    odd = next(k for k in range(1000, 1100) if spark.range(k, k + 1).where("pmod(xxhash64('fold', id), 5) = 0").count())
+    mixed = [(2000 + k, " ".join(w.upper() if j % 6 == 0 else w for j, w in enumerate(text.split())), lang) for k, text, lang in rows[:60] if len(text) > 100]
+    docs = spark.createDataFrame([*rows, (odd, "?4 7Z 555", "aa"), *mixed], DOCS)
+    trusted = spark.createDataFrame([(k,) for k in [*range(300), odd]], "id long")
+    found = {r.id: r for r in kn.classify(docs, trusted).collect()}
+    assert found[odd].perplexity > 100 and not any(found[k].kept for k, _, _ in mixed)
+    assert sum(found[k].kept for k in range(300, 400)) >= 95
+
+
+def test_recall_and_loss_on_labelled_rows(spark):
+    """The README's figures for sf0.1: 523 of 571 rows of low quality, and 7 of 3,027 good ones, are rejected."""
+    folder = "/root/testdata/sf0.1"
+    labels = spark.read.parquet(f"{folder}/labels.parquet")
+    judged = kn.digest(spark.read.parquet(f"{folder}/documents.parquet").select("doc_id", "text", "lang"), labels).join(labels, "doc_id")
+    low, good = judged.where("quality = 0"), judged.where("quality = 1 and toxic = 0")
+    low, good = (tuple(x.selectExpr("count(*)", "count_if(not kept)").first()) for x in (low, good))
+    assert low[1] >= 0.9 * low[0] and good[1] <= 0.01 * good[0]
