@@ -104,7 +104,7 @@ def rec_monotone_report(spark, sf_dir):
 
 @add("sqlrec_ancestors", closure_sql(sql.pairs("g4")))
 def sqlrec_ancestors(spark, sf_dir):
-    return sql_ancestors(pairs(spark, sf_dir, "g4"), 40)
+    return sql_ancestors(pairs(spark, sf_dir, "g4"))
 
 
 @add("adom_outside_reach", "SELECT 's' AS var, 'x' AS value WHERE false")

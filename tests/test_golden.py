@@ -134,3 +134,13 @@ def test_parallel_vertex_program_takes_the_better(spark):
     e = graph(spark, [(1, 2), (2, 3), (1, 3)])
     widest = vertex.vertex_program(e, spark.createDataFrame([(1, 9.0)], "node long, value double"), F.col("value") - 1, F.max, lambda new, old: new > old)
     assert as_dict(widest.df) == {1: 9.0, 2: 8.0, 3: 8.0}
+
+
+def test_sql_ancestors_of_a_long_chain(spark):
+    from graphloop.baselines.glue import sql_ancestors
+
+    chain = [(k, k - 1) for k in range(1, 60)]
+    edges = spark.createDataFrame([*chain, (101, 102), (102, 103), (103, 101)], "src long, dst long")
+    found = {tuple(r) for r in sql_ancestors(edges).collect()}
+    assert found == {(a, b) for a in range(60) for b in range(a)} | {(a, b) for a in (101, 102, 103) for b in (101, 102, 103)}
+    assert sql_ancestors(edges.where("false")).count() == 0
