@@ -14,14 +14,16 @@
    Comparisons stop where two members are known to be connected, so no group emits its pairs.
 4. Confirmed links are contracted to components.
 
-A pair at the threshold misses all trees with probability below 0.0001 at the defaults; every
-reported link is exact.
+A pair at the threshold is missed with probability below 0.0001 as a candidate of small nodes: by
+all trees down to the deepest level, or by the margin on signatures, which confirmation uses too. The number of trees is
+derived from that (``tree_count``). Every reported link is exact.
 """
 
 from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from math import comb
 
 import numpy as np
 import pyarrow as pa
@@ -37,6 +39,8 @@ _RNG = np.random.Generator(np.random.PCG64(5))
 _SEEDS = _RNG.integers(0, 2**32, COORDINATES, dtype=np.uint32)
 _ODD = _RNG.integers(0, 2**31, COORDINATES, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
 _ROWS = 512
+MISS = 0.0001
+BRANCHES = 2
 
 
 def signature(shingles: np.ndarray) -> np.ndarray:
@@ -122,6 +126,30 @@ def _least_agreement(percent: int) -> int:
     return int(COORDINATES * max(0.0, share - 4.2 * (share * (1 - share) / COORDINATES) ** 0.5))
 
 
+def miss_probability(percent: int, trees: int, branches: int, depth: int) -> float:
+    """How likely a pair at the threshold fails the margin on signatures, or meets in no node of the deepest level.
+
+    Trees read one signature, so their misses depend on how many of its values agree and are
+    multiplied for each such number. Nodes are taken to choose their values independently.
+    """
+    share, least, missed = percent / 100, _least_agreement(percent), 0.0
+    for agree in range(COORDINATES + 1):
+        chance = comb(COORDINATES, agree) * share**agree * (1 - share) ** (COORDINATES - agree)
+        apart = 0.0
+        for _ in range(depth):
+            apart = (1 - agree / COORDINATES * (1 - apart)) ** branches
+        missed += chance * (1.0 if agree < least else apart**trees)
+    return missed
+
+
+def tree_count(percent: int, branches: int = BRANCHES, depth: int = 4) -> int:
+    """The fewest trees by which a pair at the threshold is missed with probability below ``MISS``."""
+    for trees in range(1, COORDINATES + 1):
+        if miss_probability(percent, trees, branches, depth) < MISS:
+            return trees
+    raise ValueError(f"{COORDINATES} trees miss too many pairs at {percent}%; give their number")
+
+
 def _compare_small(members: DataFrame, percent: int, leaf: int) -> DataFrame:
     """Candidate links (src, dst) within nodes of at most ``leaf`` sets, by signatures."""
     least = _least_agreement(percent)
@@ -143,7 +171,7 @@ def _compare_small(members: DataFrame, percent: int, leaf: int) -> DataFrame:
     return dealt.mapInArrow(run, "src long, dst long").distinct()
 
 
-def candidates(sets: DataFrame, percent: int, trees: int = 3, branches: int = 2, leaf: int = 32, depth: int = 4) -> DataFrame:
+def candidates(sets: DataFrame, percent: int, trees: int, branches: int = BRANCHES, leaf: int = 32, depth: int = 4) -> DataFrame:
     """Candidate links (src, dst) between rows (rid, n, sig)."""
     tops = F.explode(F.array(*(F.xxhash64(F.lit(f"tree {t}")) for t in range(trees))))
     members = sets.select("rid", "n", "sig", tops.alias("node"))
@@ -258,7 +286,7 @@ def confirmed(texts: DataFrame, width: int, percent: int, block: int = 512) -> D
 
 
 def near_duplicates(
-    df: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, trees: int = 3, leaf: int = 32, depth: int = 4, block: int = 512
+    df: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, trees: int | None = None, leaf: int = 32, depth: int = 4, block: int = 512
 ) -> DataFrame:
     """(id, n_shingles, component, kept): documents linked at a similarity of ``percent`` / 100.
 
@@ -267,7 +295,9 @@ def near_duplicates(
     empty set and are linked with nothing. Rows with the same id are one document as far as
     ``kept`` goes; a null id is never the smallest unless all ids of a component are null.
     An empty table gives an empty result, and other columns of ``df`` do not matter.
+    ``trees`` is derived from ``percent`` and ``depth`` if not given.
     """
+    trees = tree_count(percent, depth=depth) if trees is None else trees
     base = df.select(F.col(id_col).alias("id"), F.xxhash64(F.col(text_col)).alias("row_hash"), F.col(text_col).alias("text"))
     marked = stored(describe(base, width))
     pick = F.min(F.struct(F.col("id").isNull().alias("unknown"), "id", "row_hash")).alias("pick")

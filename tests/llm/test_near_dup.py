@@ -77,3 +77,16 @@ def test_nulls_repeats_and_empty(spark):
     got = sorted(map(str, near_dup.near_duplicates(df, width=3, percent=85).select("id", "component", "kept").collect()))
     assert got == sorted(["Row(id=None, component=7, kept=False)"] * 2 + ["Row(id=7, component=7, kept=True)"] * 2 + ["Row(id=8, component=8, kept=True)"])
     assert near_dup.near_duplicates(df.where("false")).count() == 0
+
+
+@pytest.mark.parametrize("percent, trees", [(80, 5), (85, 4)])
+def test_trees_keep_the_promise_at_the_deepest_level(percent, trees):
+    assert near_dup.tree_count(percent) == trees
+    assert near_dup.miss_probability(percent, trees, 2, 4) < 0.0001 < near_dup.miss_probability(percent, trees - 1, 2, 4)
+
+
+def test_derived_trees_are_used(spark, monkeypatch):
+    used, plain = [], near_dup.candidates
+    monkeypatch.setattr(near_dup, "candidates", lambda sets, percent, trees, **more: used.append(trees) or plain(sets, percent, trees, **more))
+    near_dup.near_duplicates(spark.createDataFrame([(1, "a b c")], "doc_id long, text string"))
+    assert used == [5]
