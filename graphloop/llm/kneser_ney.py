@@ -150,7 +150,7 @@ class Lookup:
 
 
 def _score_by_lookup(rows: DataFrame, model: DataFrame, order: int) -> DataFrame:
-    table = model.withColumn("value", F.col("value").cast("float")).toArrow()
+    table = model.toArrow()
     lang = table.column("lang").combine_chunks().dictionary_encode()
     names, lang = lang.dictionary.to_pylist(), lang.indices.to_numpy()
     kind, code, value = (table.column(c).to_numpy() for c in ("kind", "code", "value"))

@@ -112,3 +112,12 @@ def test_recall_and_loss_on_labelled_rows(spark):
     low, good = judged.where("quality = 0"), judged.where("quality = 1 and toxic = 0")
     low, good = (tuple(x.selectExpr("count(*)", "count_if(not kept)").first()) for x in (low, good))
     assert low[1] >= 0.9 * low[0] and good[1] <= 0.01 * good[0]
+
+
+def test_both_sides_of_the_switch_agree(spark):
+    docs = spark.createDataFrame(corpus(6, 60), DOCS)
+    trusted = spark.createDataFrame([(k,) for k in range(45)], "id long")
+    found = {r.id: r for r in kn.classify(docs, trusted).collect()}
+    joined = {r.id: r for r in kn.classify(docs, trusted, broadcast_rows=0).collect()}
+    assert all(abs(found[k].perplexity / joined[k].perplexity - 1) < 1e-12 for k in found)
+    assert all(found[k].kept == joined[k].kept for k in found)
