@@ -1,13 +1,17 @@
-"""PageRank with redistribution of what the edges do not carry, and the p-index of authors."""
+"""PageRank by its procedure, stopping conditions for it, and the p-index of authors."""
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphloop.materialize import durable
-from graphloop.plans.catalog import Catalog
-from graphloop.plans.procedure import Procedure, Times, Until
+from graphloop.algorithms import procedures
+from graphloop.algorithms.reach import graph_catalog
+from graphloop.plans.parser import parse_procedure
+from graphloop.plans.procedure import Loop, Procedure, Until
+from graphloop.plans.rewrite import optimise
 from graphloop.plans.runtime import RunResult, run
 from graphloop.relation import Relation
 
@@ -22,77 +26,70 @@ def out_degree(edges: DataFrame) -> DataFrame:
     return edges.groupBy(F.col("src").alias("node")).agg(F.count(F.lit(1)).alias("degree"))
 
 
-def _certain(df: DataFrame) -> Relation:
-    return Relation(df)
-
-
-def pagerank_procedure(edges: DataFrame, nodes: DataFrame | None = None, damping: float = 0.85, until=None, hoist: bool = True) -> Procedure:
-    """Ranks start equal; a round spreads ``damping`` of each along its edges and deals the rest out equally.
+def pagerank_procedure(damping: float = 0.85, until=None, with_nodes: bool = False, batched: str | None = None) -> Procedure:
+    """The procedure over the predicate ``step``; parallel edges count.
 
-    With ``hoist`` the join of edges and degrees is snapshotted before the loop, laid out by
-    source, as every round needs the same one. The loop snapshots one variable a round.
+    ``until`` replaces its ten rounds, ``with_nodes`` takes the nodes from the variable ``place``,
+    and ``batched`` says how its sending statement is split ('bucketed', 'lifted' or 'per_value').
     """
-    edges = edges.select("src", "dst")
+    text = procedures.LINK.replace("DISTINCT ", "") + ("" if with_nodes else procedures.ENDS) + procedures.pagerank_text(damping)
+    proc = parse_procedure(text)
+    if until is not None:
+        proc = Procedure([replace(s, until=until) if isinstance(s, Loop) else s for s in proc.statements])
+    return procedures.split_sends(proc, "pr", batched) if batched else proc
 
-    def links(env) -> Relation:
-        joined = edges.join(out_degree(edges).withColumnRenamed("node", "src"), "src")
-        return _certain(joined.select("src", "dst", (F.lit(damping) / F.col("degree")).alias("weight")))
 
-    def spread(env) -> Relation:
-        carried = env["links"].df.join(env["rank"].df.withColumnRenamed("node", "src"), "src")
-        return _certain(carried.groupBy(F.col("dst").alias("node")).agg(F.sum(F.col("rank") * F.col("weight")).alias("share")))
+def pagerank(edges: DataFrame, nodes: DataFrame | None = None, damping: float = 0.85, until=None, hoist: bool = True, spread: str | None = None) -> RunResult:
+    """(node, rank); ranks sum to 1 after every round. No nodes give no rows.
 
-    def leftover(env) -> Relation:
-        return Relation(env["share"].df.agg((1 - F.coalesce(F.sum("share"), F.lit(0.0))).alias("leftover")), rows=1)
+    With ``hoist`` the procedure is rewritten before it runs; ``spread`` evaluates what flows along
+    edges in batches by the node that sends.
+    """
+    proc = pagerank_procedure(damping, until, nodes is not None, spread)
+    env = {} if nodes is None else {"place": Relation(nodes.select("node"))}
+    mode = "batched" if spread else "plan"
+    found = run(optimise(proc) if hoist and not spread else proc, graph_catalog(edges), mode=mode, strict=nodes is None, env=env)
+    return replace(found, relation=Relation(found.df.select("node", F.col("rank").cast("double").alias("rank"))))
 
-    def combine(env) -> Relation:
-        both = env["nodes"].df.join(env["share"].df, "node", "left").join(F.broadcast(env["leftover"].df)).join(F.broadcast(env["n"].df))
-        return _certain(both.select("node", (F.coalesce("share", F.lit(0.0)) + F.col("leftover") / F.col("n")).alias("rank")))
 
-    proc = Procedure()
-    proc.let("nodes", lambda env: _certain(_kept(nodes if nodes is not None else node_set(edges))))
-    proc.let("n", lambda env: Relation(env["nodes"].df.agg(F.count(F.lit(1)).alias("n")), rows=1), reads=("nodes",))
-    proc.let("links", (lambda env: _certain(_kept(links(env).df))) if hoist else links)
-    proc.let("rank", lambda env: _certain(env["nodes"].df.join(F.broadcast(env["n"].df)).select("node", (F.lit(1.0) / F.col("n")).alias("rank"))), reads=("nodes", "n"))
-    body = Procedure().let("share", spread, reads=("links", "rank"))
-    body.let("leftover", leftover, lazy=True, reads=("share",)).let("rank", combine, lazy=True, reads=("nodes", "n", "share", "leftover"))
-    return proc.loop(body, until or Times(10)).ret("rank")
+def residual(env, before, norm: str = "l1") -> float:
+    """How far ranks moved in a round: l1, l2 or linf."""
+    a, b = before["held"].df.select("node", F.col("rank").alias("old")), env["held"].df.select("node", "rank")
+    d = F.abs(F.col("rank") - F.col("old"))
+    size = {"l1": F.sum(d), "l2": F.sqrt(F.sum(d * d)), "linf": F.max(d)}[norm]
+    return a.join(b, "node").agg(size).first()[0] or 0.0
 
 
-def _kept(df: DataFrame) -> DataFrame:
-    return durable(df)
+def correlation(env, before) -> float | None:
+    """Of the ranks before and after a round."""
+    a = before["held"].df.select("node", F.col("rank").cast("double").alias("x"))
+    both = a.join(env["held"].df.select("node", F.col("rank").cast("double").alias("y")), "node")
+    spread = F.stddev_pop("x") * F.stddev_pop("y")
+    return both.agg(F.when(spread > 1e-24, F.try_divide(F.covar_pop("x", "y"), spread))).first()[0]
 
 
-def residual_below(eps: float, norm: str = "l1") -> Until:
-    """Stops when ranks move by less than ``eps`` in a round: l1, l2 or linf."""
+def residual_below(eps: float, norm: str = "l1", seen: list | None = None) -> Until:
+    """Stops when ranks move by less than ``eps`` in a round; ``seen`` collects how far they moved."""
 
     def test(env, before) -> bool:
-        if "share" not in before:
-            return False
-        a, b = before["rank"].df.withColumnRenamed("rank", "old"), env["rank"].df
-        d = F.abs(F.col("rank") - F.col("old"))
-        size = {"l1": F.sum(d), "l2": F.sqrt(F.sum(d * d)), "linf": F.max(d)}[norm]
-        return (a.join(b, "node").agg(size).first()[0] or 0.0) < eps
+        moved = residual(env, before, norm)
+        if seen is not None:
+            seen.append(moved)
+        return moved < eps
 
-    return Until(test, ("rank",))
+    return Until(test, ("held",))
 
 
-def correlation_above(rho: float) -> Until:
-    """Stops when the ranks of two rounds correlate by more than ``rho``."""
+def correlation_above(rho: float, seen: list | None = None) -> Until:
+    """Stops when the ranks of two rounds correlate by more than ``rho``; equal first ranks have no correlation."""
 
     def test(env, before) -> bool:
-        if "share" not in before:
-            return False
-        a = before["rank"].df.withColumnRenamed("rank", "old")
-        found = a.join(env["rank"].df, "node").agg(F.corr("rank", "old")).first()[0]
+        found = correlation(env, before)
+        if seen is not None:
+            seen.append(found)
         return found is not None and found > rho
 
-    return Until(test, ("rank",))
-
-
-def pagerank(edges: DataFrame, nodes: DataFrame | None = None, damping: float = 0.85, until=None, hoist: bool = True) -> RunResult:
-    """(node, rank); ranks sum to 1 after every round. No nodes give no rows."""
-    return run(pagerank_procedure(edges, nodes, damping, until, hoist), Catalog(edges.sparkSession))
+    return Until(test, ("held",))
 
 
 def p_index(rank: DataFrame, authorship: DataFrame, top: int | None = 1, names: DataFrame | None = None) -> DataFrame:

@@ -87,20 +87,19 @@ def cdlp(edges: DataFrame, rounds: int = 10, labels: DataFrame | None = None, di
     pairs = edges.select("src", "dst").distinct()
     flipped = pairs.select(F.col("dst").alias("src"), F.col("src").alias("dst"))
     near = pairs.union(flipped) if directed else pairs.union(flipped).distinct()
-    near = durable(near)
     nodes = node_set(pairs)
     start = nodes.select("node", F.col("node").alias("label")) if labels is None else nodes.join(labels, "node").select("node", "label")
 
     def adopt(env) -> Relation:
-        heard = near.join(env["labels"].df.withColumnRenamed("node", "src"), "src")
+        heard = env["near"].df.join(env["labels"].df.withColumnRenamed("node", "src"), "src")
         counts = heard.groupBy(F.col("dst").alias("node"), "label").agg(F.count(F.lit(1)).alias("n"))
         best = counts.groupBy("node").agg(F.max(F.struct("n", (-F.col("label")).alias("l"))).alias("best"))
         heard_by = env["labels"].df.join(best, "node", "left")
         return Relation(heard_by.select("node", F.coalesce(-F.col("best.l"), F.col("label")).alias("label")))
 
-    start = durable(start)
-    proc = Procedure().let("labels", lambda env: Relation(start))
-    return run(proc.loop(Procedure().let("labels", adopt, reads=("labels",)), Times(rounds)).ret("labels"), Catalog(edges.sparkSession)).df
+    proc = Procedure().let("near", lambda env: Relation(near)).let("labels", lambda env: Relation(start))
+    body = Procedure().let("labels", adopt, reads=("near", "labels"))
+    return run(proc.loop(body, Times(rounds), keys=(("near", "src"),)).ret("labels"), Catalog(edges.sparkSession)).df
 
 
 def weisfeiler_lehman(edges: DataFrame, labels: DataFrame, rounds: int | None = None, undirected: bool = True):
@@ -111,7 +110,6 @@ def weisfeiler_lehman(edges: DataFrame, labels: DataFrame, rounds: int | None =
     class and the sorted counts of classes around it; 128 bits, so equal means alike.
     """
     near = both_ways(edges.select("src", "dst")) if undirected else edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")).distinct()
-    near = durable(near)
     sizes: list[int] = []
 
     def named(df: DataFrame, *key: str) -> DataFrame:
@@ -119,7 +117,7 @@ def weisfeiler_lehman(edges: DataFrame, labels: DataFrame, rounds: int | None =
         return df.join(least, list(key)).select("node", "class")
 
     def refine(env) -> Relation:
-        heard = near.join(env["colour"].df.select(F.col("node").alias("src"), F.col("class")), "src")
+        heard = env["near"].df.join(env["colour"].df.select(F.col("node").alias("src"), F.col("class")), "src")
         counts = heard.groupBy(F.col("dst").alias("node"), "class").agg(F.count(F.lit(1)).alias("n"))
         # Order does not matter to sums of hashes, so a hub's classes need not be listed.
         around = counts.groupBy("node").agg(
@@ -135,10 +133,11 @@ def weisfeiler_lehman(edges: DataFrame, labels: DataFrame, rounds: int | None =
 
     start = durable(named(labels.select("node", "label"), "label"))
     sizes.append(start.select("class").distinct().count())
-    proc = Procedure().let("colour", lambda env: Relation(start))
+    proc = Procedure().let("near", lambda env: Relation(near)).let("colour", lambda env: Relation(start))
     if rounds == 0:
         return start, sizes
-    found = run(proc.loop(Procedure().let("colour", refine, reads=("colour",)), Until(stable)).ret("colour"), Catalog(edges.sparkSession))
+    body = Procedure().let("colour", refine, reads=("near", "colour"))
+    found = run(proc.loop(body, Until(stable, ("colour",)), keys=(("near", "src"),)).ret("colour"), Catalog(edges.sparkSession))
     return found.df, sizes
 
 

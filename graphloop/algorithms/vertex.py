@@ -7,11 +7,12 @@ arrives at a node with a combinable aggregate, and keeps what improves the node'
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from graphloop.materialize import durable
+from graphloop.plans import query as q
 from graphloop.plans.catalog import Catalog
 from graphloop.plans.procedure import Procedure, Until
 from graphloop.plans.runtime import RunResult, run
@@ -24,26 +25,27 @@ def vertex_program(edges: DataFrame, state: DataFrame, message: Column, merge: C
     ``state`` has (node, value) of the nodes that are set at the start; ``message`` is an
     expression over value, src, dst and the columns of ``edges``; ``better(new, old)`` decides
     about a node that has a value, and every node without one takes what arrives. Only nodes
-    that changed send, and the state is kept as it was found, by round, so a round costs what it changes.
+    that changed send. The state is a log of what was found, by round, in a bounded number of
+    snapshots that lie by node: a round writes what it changes, and deals out what is sent.
     """
     better = better or (lambda new, old: new < old)
-    edges = durable(edges)
 
     def arrive(env) -> Relation:
-        sent = env["changed"].df.withColumnRenamed("node", "src").join(edges, "src")
-        found = sent.select(F.col("dst").alias("node"), message.alias("value")).groupBy("node").agg(merge("value").alias("value"))
-        old = env["state"].df.withColumnRenamed("value", "old")
+        sent = env["changed"].df.withColumnRenamed("node", "src").join(env["edges"].df, "src")
+        found = sent.select(F.col("dst").alias("node"), message.alias("value"), (F.col("_round") + 1).alias("_round"))
+        found = found.groupBy("node").agg(merge("value").alias("value"), F.max("_round").alias("_round"))
+        old = env["state"].df.groupBy("node").agg(F.max_by("value", "_round").alias("old"))
         fresh = found.join(old, "node", "left").where(F.col("old").isNull() | better(F.col("value"), F.col("old")))
-        return Relation(fresh.select("node", "value"))
+        return Relation(fresh.select("node", "value", "_round"))
 
-    def absorb(env) -> Relation:
-        rest = env["state"].df.join(env["changed"].df.select("node"), "node", "left_anti")
-        return Relation(rest.unionByName(env["changed"].df))
-
-    start = durable(state.select("node", "value"))
-    proc = Procedure().let("state", lambda env: Relation(start)).let("changed", lambda env: Relation(start))
-    body = Procedure().let("changed", arrive, reads=("changed", "state")).let("state", absorb, reads=("changed", "state"))
-    return run(proc.loop(body, Until(lambda env, before: env["changed"].rows == 0), max_rounds).ret("state"), Catalog(edges.sparkSession))
+    proc = Procedure().let("edges", lambda env: Relation(edges))
+    proc.let("state", lambda env: Relation(state.select("node", "value", F.lit(0).alias("_round"))))
+    proc.let("changed", q.VarRef("state"))
+    body = Procedure().let("changed", arrive, reads=("changed", "edges", "state")).let("state", q.Union(q.VarRef("state"), q.VarRef("changed")))
+    proc.loop(body, Until(lambda env, before: env["changed"].rows == 0, ("changed",)), max_rounds, keys=(("edges", "src"), ("state", "node")))
+    found = run(proc.ret("state"), Catalog(edges.sparkSession))
+    last = found.df.groupBy("node").agg(F.max_by("value", "_round").alias("value"))
+    return replace(found, relation=Relation(last))
 
 
 def _start(edges: DataFrame, source: int, value) -> DataFrame:
@@ -63,20 +65,19 @@ def bfs(edges: DataFrame, source: int, directed: bool = True, unreachable: str =
     A frontier traversal: levels only ever appear, so a round joins the last level with the
     edges and drops what is known.
     """
-    edges = edges.select("src", "dst") if directed else both_ways(edges.select("src", "dst"))
-    edges = durable(edges.distinct())
+    edges = (edges.select("src", "dst") if directed else both_ways(edges.select("src", "dst"))).distinct()
     catalog = Catalog(edges.sparkSession)
 
     def arrive(env) -> Relation:
-        reached = env["last"].df.select(F.col("node").alias("src"), F.col("level")).join(edges, "src")
-        found = reached.select(F.col("dst").alias("node"), (F.col("level") + 1).alias("level")).distinct()
+        reached = env["last"].df.select(F.col("node").alias("src"), F.col("level")).join(env["edges"].df, "src")
+        found = reached.groupBy(F.col("dst").alias("node")).agg((F.min("level") + 1).alias("level"))
         return Relation(found.join(env["levels"].df.select("node"), "node", "left_anti"))
 
-    start = durable(_start(edges, source, 0).select("node", F.col("value").cast("long").alias("level")))
-    proc = Procedure().let("levels", lambda env: Relation(start)).let("last", lambda env: Relation(start))
-    body = Procedure().let("last", arrive, reads=("last", "levels"))
-    body.let("levels", lambda env: Relation(env["levels"].df.union(env["last"].df)), lazy=True, reads=("last", "levels"))
-    levels = run(proc.loop(body, Until(lambda env, before: env["last"].rows == 0)).ret("levels"), catalog).df
+    start = _start(edges, source, 0).select("node", F.col("value").cast("long").alias("level"))
+    proc = Procedure().let("edges", lambda env: Relation(edges)).let("levels", lambda env: Relation(start)).let("last", q.VarRef("levels"))
+    body = Procedure().let("last", arrive, reads=("last", "edges", "levels")).let("levels", q.Union(q.VarRef("levels"), q.VarRef("last")))
+    done = Until(lambda env, before: env["last"].rows == 0, ("last",))
+    levels = run(proc.loop(body, done, keys=(("edges", "src"), ("levels", "node"))).ret("levels"), catalog).df
     if unreachable == "omit":
         return levels
     nodes = edges.select(F.col("src").alias("node")).union(edges.select("dst")).distinct()

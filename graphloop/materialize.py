@@ -11,8 +11,16 @@ import gc
 import tempfile
 import time
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+SMALL_ROWS = 50_000
+ROWS_A_PART = 2_000_000
+# A checkpoint remembers constraints of its plan, and a union of checkpoints fails on those that name columns it lost.
+FORGETFUL = {"spark.sql.constraintPropagation.enabled": "false"}
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
@@ -34,7 +42,8 @@ def checkpoint_dir(spark: SparkSession) -> str:
 def durable(df: DataFrame) -> DataFrame:
     """An eager reliable checkpoint; Spark's cleaner may drop it once nothing refers to it."""
     checkpoint_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    with settings(df.sparkSession, FORGETFUL):
+        return df.checkpoint(eager=True)
 
 
 def stored(df: DataFrame, *partition_by: str) -> DataFrame:
@@ -48,6 +57,72 @@ def stored(df: DataFrame, *partition_by: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+@contextmanager
+def settings(spark: SparkSession, values: dict[str, str]) -> Iterator[None]:
+    """Run-time settings for a while; what was set before comes back, whatever happens."""
+    before = {name: spark.conf.get(name, None) for name in values}
+    try:
+        for name, value in values.items():
+            spark.conf.set(name, value)
+        yield
+    finally:
+        for name, value in before.items():
+            spark.conf.unset(name) if value is None else spark.conf.set(name, value)
+
+
+def parts_for(spark: SparkSession, rows: int) -> int:
+    """Partitions of a loop over ``rows`` rows: one if they are few, else the session's number or as many as rows need."""
+    if rows <= SMALL_ROWS:
+        return 1
+    return max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-rows // ROWS_A_PART))
+
+
+def steady(parts: int) -> dict[str, str]:
+    """Settings under which a layout by key outlives a checkpoint, so what lies by the join key is not dealt out again.
+
+    Adaptive plans forget it. In one partition nothing is exchanged at all, so broadcasts would only cost jobs.
+    """
+    fixed = {"spark.sql.adaptive.enabled": "false", "spark.sql.shuffle.partitions": str(parts)}
+    return fixed | ({"spark.sql.autoBroadcastJoinThreshold": "-1", "spark.sql.join.preferSortMergeJoin": "false"} if parts == 1 else {})
+
+
+def has_hub(df: DataFrame, key: str, rows: int, parts: int) -> bool:
+    """Whether one value of ``key`` has more rows than four partitions should; such a key must be left to skew handling."""
+    if parts == 1:
+        return False
+    most = df.groupBy(key).agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
+    return most > 4 * max(rows // parts, 1)
+
+
+def laid_out(df: DataFrame, key: str | None, parts: int) -> DataFrame:
+    """A reliable checkpoint, dealt by ``key`` into ``parts`` partitions in a way that later joins on it can see."""
+    with settings(df.sparkSession, steady(parts)):
+        dealt = df.coalesce(1) if parts == 1 else df.repartition(parts, key) if key else df
+        return durable(dealt)
+
+
+def checkpoint_files(df: DataFrame) -> frozenset:
+    """Folders of the checkpoints that a plan reads."""
+    found, todo = set(), [df._jdf.queryExecution().analyzed()]
+    while todo:
+        node = todo.pop()
+        if node.getClass().getSimpleName() == "LogicalRDD":
+            at = node.rdd().getCheckpointFile()
+            if at.isDefined():
+                found.add(at.get())
+        children = node.children()
+        todo += [children.apply(k) for k in range(children.size())]
+    return frozenset(found)
+
+
+def discard(spark: SparkSession, folders) -> None:
+    """Deletes folders of snapshots that nothing reads any more."""
+    sc = spark.sparkContext
+    for folder in folders:
+        path = sc._jvm.org.apache.hadoop.fs.Path(folder)
+        path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def release(spark: SparkSession) -> None:
     """Lets the cleaner drop the shuffle files of plans that nothing refers to any more."""
     for _ in range(2):  # what Python lets go of in the first pass, the JVM finds in the second

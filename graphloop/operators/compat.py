@@ -51,7 +51,8 @@ def cross(a: Relation, b: Relation) -> Relation:
         n = small.rows if small.rows is not None else small.df.limit(CROSS_ROWS + 1).count()
         if n <= CROSS_ROWS:
             out = large.df.crossJoin(F.broadcast(small.df)).select(*(_quoted(c) for c in [*a.vars, *b.vars]))
-            return Relation(out, a.maybe | b.maybe)
+            known = small.rows is not None and large.rows is not None
+            return Relation(out, a.maybe | b.maybe, small.rows * large.rows if known else None)
     raise CrossJoinTooLarge(f"both sides of a product have more than {CROSS_ROWS} rows")
 
 

@@ -169,19 +169,26 @@ def reduce_intersect(bag: bool = False) -> Reduce:
     return Reduce("intersect", merge)
 
 
+def _merged(reducer: Reduce, df: DataFrame, maybe: frozenset, split: SplitPlan) -> Relation:
+    out = reducer.merge(df, split.domain)
+    return Relation(out, frozenset(c for c in out.columns if c in maybe or c not in df.columns))
+
+
 def eval_batches(query: q.Query, split: SplitPlan, env: dict[str, Relation], catalog: Catalog, reducer: Reduce, how: str = "lifted", buckets: int = 8, workers: int = 4, max_values: int = 2_000) -> tuple[Relation, int]:
     """(merged result, number of queries). ``how``: 'lifted', 'bucketed' or 'per_value'."""
     names = set(split.parts)
     if how == "lifted":
         out = compile_query(lift(query, names), {**env, **split.parts}, catalog)
-        return Relation.of(reducer.merge(out.df, split.domain)), 1
+        return _merged(reducer, out.df, out.maybe, split), 1
     if how == "bucketed":
-        results = []
+        results, maybe = [], frozenset()
         lifted = lift(query, names)
         for b in range(buckets):
             part = {n: replace(r, df=r.df.where(F.pmod(F.xxhash64(KEY), F.lit(buckets)) == b), rows=None) for n, r in split.parts.items()}
-            results.append(durable(compile_query(lifted, {**env, **part}, catalog).df))
-        return Relation.of(reducer.merge(reduce(DataFrame.unionByName, results), split.domain)), buckets
+            out = compile_query(lifted, {**env, **part}, catalog)
+            maybe |= out.maybe
+            results.append(durable(out.df))
+        return _merged(reducer, reduce(DataFrame.unionByName, results), maybe, split), buckets
     if how != "per_value":
         raise ValueError(f"unknown way {how!r}")
     values = [r["c"] for r in split.domain.orderBy("c").limit(max_values + 1).collect()]

@@ -25,6 +25,20 @@ def compile_query(query: q.Query, env: dict[str, Relation], catalog: Catalog) ->
     return _Compiler(env, catalog).build(query)
 
 
+_TOTAL = {"=", "!=", "<", "<=", ">", ">=", "&&", "||", "!", "if", "bound"}
+
+
+def _sure(value, body: Relation) -> bool:
+    """Whether an expression has a value in every solution, as far as its form tells."""
+    if isinstance(value, q.Const):
+        return value.value is not None
+    if isinstance(value, q.Var):
+        return value.name in body.vars and value.name not in body.maybe
+    if value.fn.lower() == "coalesce":
+        return any(_sure(a, body) for a in value.args)
+    return value.fn.lower() in _TOTAL and (value.fn.lower() == "bound" or all(_sure(a, body) for a in value.args))
+
+
 class _Compiler:
     def __init__(self, env: dict[str, Relation], catalog: Catalog):
         self.env, self.catalog = env, catalog
@@ -152,8 +166,7 @@ class _Compiler:
         if node.var in body.vars:
             raise ValueError(f"?{node.var} is already in scope")
         value = q.expr(node.value)
-        sure = isinstance(value, q.Const) and value.value is not None or isinstance(value, q.Var) and value.name not in body.maybe
-        return Relation(body.df.withColumn(node.var, column(value, set(body.vars))), body.maybe | (frozenset() if sure else {node.var}))
+        return Relation(body.df.withColumn(node.var, column(value, set(body.vars))), body.maybe | (frozenset() if _sure(value, body) else {node.var}), body.rows)
 
     def _values(self, node: q.Values) -> Relation:
         names = list(node.vars)
@@ -173,7 +186,7 @@ class _Compiler:
         for item in node.items:
             value, name = (q.Var(item), item) if isinstance(item, str) else (q.expr(item[0]), item[1])
             columns.append(column(value, set(body.vars)).alias(name))
-            if not (isinstance(value, q.Var) and value.name in body.vars and value.name not in body.maybe):
+            if not _sure(value, body):
                 maybe.add(name)
         return Relation(body.df.select(*columns), frozenset(maybe), body.rows)
 
@@ -192,7 +205,9 @@ class _Compiler:
             zero = {name: F.coalesce(F.col(name), F.lit(0)) for name, a in node.aggs if a.fn in ("count", "sum", "avg")}
             df = df.withColumns(zero) if zero else df
         sure = {name for name, a in node.aggs if a.fn == "count" or not keys and a.fn in ("sum", "avg")}
-        sure |= {name for e, name in keys if isinstance(e, q.Var) and e.name in known and e.name not in body.maybe}
+        least = ("min", "max", "sample")  # over a group, these are bound where their variable is
+        sure |= {name for name, a in node.aggs if keys and a.fn in least and isinstance(q.expr(a.arg), q.Var) and q.expr(a.arg).name in known - body.maybe}
+        sure |= {name for e, name in keys if _sure(e, body)}
         names = [name for _, name in keys] + [name for name, _ in node.aggs]
         out = Relation(df, frozenset(n for n in names if n not in sure), None if keys else 1)
         if node.having is not None:

@@ -64,12 +64,13 @@ class Until:
 
 @dataclass(frozen=True)
 class Loop:
-    """Runs ``body`` until ``until`` is met, at least once."""
+    """Runs ``body`` until ``until`` is met, at least once. ``keys`` has (variable, column) by which variables are laid out."""
 
     body: tuple
     until: Any
     max_rounds: int | None = None
     guard: tuple = ()
+    keys: tuple = ()
 
 
 @dataclass(frozen=True)
@@ -94,9 +95,9 @@ class Procedure:
         self.statements.append(Let(var, query, lazy, split))
         return self
 
-    def loop(self, body: Procedure | list, until, max_rounds: int | None = None, guard: tuple = ()) -> Procedure:
+    def loop(self, body: Procedure | list, until, max_rounds: int | None = None, guard: tuple = (), keys: tuple = ()) -> Procedure:
         statements = body.statements if isinstance(body, Procedure) else body
-        self.statements.append(Loop(tuple(statements), until, max_rounds, tuple(guard)))
+        self.statements.append(Loop(tuple(statements), until, max_rounds, tuple(guard), tuple(keys)))
         return self
 
     def ret(self, var: str) -> Procedure:

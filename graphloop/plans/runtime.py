@@ -2,20 +2,27 @@
 
 from __future__ import annotations
 
+import threading
 import time
+import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager, nullcontext
 from dataclasses import dataclass, field, replace
+from functools import reduce
 
 from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
-from graphloop.materialize import checkpoint_dir
+from graphloop.materialize import checkpoint_files, discard, durable, has_hub, laid_out, parts_for, settings, steady
 from graphloop.plans import query as q
 from graphloop.plans.catalog import Catalog
 from graphloop.plans.compiler import ask, compile_query
+from graphloop.plans.layout import assigned, join_keys, loop_reads, opaque, read_often
 from graphloop.plans.procedure import AskTrue, FixpointWithin, Let, Loop, MalformedProcedure, Procedure, Return, Times, Until, references, validate
 from graphloop.relation import Relation, fingerprint, same_set
 
 INLINE_ROWS = 5_000
+LOG_PIECES = 6
 
 
 class RoundLimit(RuntimeError):
@@ -51,12 +58,47 @@ class RunResult:
 def snapshot(relation: Relation) -> Relation:
     """A reliable checkpoint of a relation that knows its number of rows; one job."""
     df = relation.df
-    checkpoint_dir(df.sparkSession)
     if not df.columns:
         return replace(relation, rows=df.count())
     seen = Observation()
-    df = df.observe(seen, F.count(F.lit(1)).alias("n")).checkpoint(eager=True)
-    return Relation(df, relation.maybe, seen.get["n"])
+    df = durable(df.observe(seen, F.count(F.lit(1)).alias("n")))
+    return Relation(df, relation.maybe, seen.get["n"], kept=True)
+
+
+@contextmanager
+def time_limit(spark, seconds: float | None) -> Iterator[None]:
+    """Cancels the Spark jobs of this thread that still run after ``seconds``, and raises ``TimeLimit`` for them."""
+    if not seconds:
+        yield
+        return
+    sc, group, late = spark.sparkContext, f"graphloop-{uuid.uuid4().hex}", threading.Event()
+    kept = {name: sc.getLocalProperty(name) for name in ("spark.jobGroup.id", "spark.job.description", "spark.job.interruptOnCancel")}
+    done = threading.Event()
+
+    def watch() -> None:
+        if not done.wait(seconds):
+            late.set()
+            while not done.wait(0.5):  # jobs that start afterwards go too
+                sc.cancelJobGroup(group)
+
+    sc.setJobGroup(group, "a task with a time limit", interruptOnCancel=True)
+    watcher = threading.Thread(target=watch, daemon=True)
+    watcher.start()
+    try:
+        yield
+        if late.is_set():
+            raise TimeLimit(f"took more than {seconds} s")
+    except TimeLimit:
+        raise
+    except Exception as problem:
+        if late.is_set():
+            raise TimeLimit(f"stopped after {seconds} s") from problem
+        raise
+    finally:
+        done.set()
+        watcher.join()
+        for name, value in kept.items():
+            sc.setLocalProperty(name, value)
 
 
 def literal(relation: Relation, cap: int = INLINE_ROWS) -> tuple[Relation, int]:
@@ -81,12 +123,29 @@ def literal(relation: Relation, cap: int = INLINE_ROWS) -> tuple[Relation, int]:
 
 
 class _Run:
+    """Evaluation of one procedure.
+
+    A value that is read once is part of the plan that reads it; one that is read more often, or in
+    the next round, is a snapshot.
+
+    What a loop reads is snapshotted before its first round, and laid out by the variable that
+    its statements join it on. Within a loop plans are steady (``materialize.steady``) unless
+    one value of that variable holds too many rows; then adaptive plans stay on, which split
+    such a value. A statement that only adds to a variable keeps a log of snapshots. Snapshots that no
+    variable's plan reads any more are deleted after each round.
+    """
+
     def __init__(self, catalog: Catalog, mode: str, max_rounds: int, deadline: float | None, inline_rows: int):
         self.catalog, self.mode, self.max_rounds, self.deadline, self.inline_rows = catalog, mode, max_rounds, deadline, inline_rows
         self.env: dict[str, Relation] = {}
         self.rounds: list[int] = []
         self.trace: list[dict] = []
         self.number = 0
+        self.logs: dict[str, list[Relation]] = {}
+        self.made: set[str] = set()
+        self.prints: dict[str, tuple] = {}
+        self.shared: set[str] = set()
+        self.carried: set[str] = set()
 
     def statements(self, body, in_loop: bool, round_: int = 0) -> None:
         for s in body:
@@ -95,6 +154,16 @@ class _Run:
             elif isinstance(s, Loop):
                 self.loop(s)
 
+    def keep(self, relation: Relation) -> Relation:
+        return self.noted(snapshot(relation))
+
+    def noted(self, found: Relation) -> Relation:
+        if not found.vars:
+            return found
+        files = checkpoint_files(found.df)
+        self.made |= files
+        return replace(found, files=files)
+
     def let(self, s: Let, in_loop: bool, round_: int) -> None:
         began = time.time()
         text, batches = 0, 0
@@ -105,25 +174,100 @@ class _Run:
                 if name in env:
                     env[name], n = literal(env[name], self.inline_rows)
                     text += n
+        log = None
         if s.split is not None and self.mode == "batched":
             found, batches = s.split.evaluate(s.query, env, self.catalog)
+        elif self.mode == "plan" and in_loop and (more := _added(s)) is not None and s.var in env:
+            found = compile_query(more, env, self.catalog)
+            if sorted(found.vars) == sorted(env[s.var].vars):
+                found = found if found.kept else self.keep(found)
+                log = self.logged(s.var, found)
+                found = self.joined(log)
+            else:
+                found = compile_query(s.query, env, self.catalog)
         else:
             found = compile_query(s.query, env, self.catalog)
-        if in_loop and not s.lazy or self.mode != "plan":
-            found = snapshot(found)
+        if log is None and not found.kept and found.vars and ((s.var in self.carried or s.var in self.shared) and not s.lazy or self.mode != "plan"):
+            found = self.keep(found)
+        elif log is None and not found.kept:
+            unknown = any(isinstance(n, q.Table) and callable(n.make) and not n.reads for n in q.walk(s.query))
+            names = self.env if unknown else references(s.query) & self.env.keys()
+            found = replace(found, files=frozenset().union(*(self.env[n].files for n in names)))
+        self.logs = {k: v for k, v in self.logs.items() if k != s.var} | ({s.var: log} if log else {})
         self.env = {**self.env, s.var: found}
         self.number += 1
         self.trace.append({"step": self.number, "var": s.var, "round": round_, "rows": found.rows, "ms": round((time.time() - began) * 1000), "text": text, "batches": batches, "mode": self.mode})
 
+    # Logs: a variable that only grows is a bounded number of snapshots, merged when they are too many.
+
+    def logged(self, var: str, found: Relation) -> list[Relation]:
+        old = self.env[var]
+        pieces = self.logs.get(var) or [old if old.kept else self.keep(old)]
+        if found.rows == 0:
+            return pieces
+        pieces = [*pieces, found]
+        if len(pieces) > LOG_PIECES:
+            top = max(range(len(pieces)), key=lambda k: pieces[k].rows)
+            rest = [x for k, x in enumerate(pieces) if k != top]
+            if sum(x.rows for x in rest) * 2 > pieces[top].rows:
+                return [self.keep(self.joined(pieces))]
+            return [pieces[top], self.keep(self.joined(rest))]
+        return pieces
+
+    @staticmethod
+    def joined(pieces: list[Relation]) -> Relation:
+        if len(pieces) == 1:
+            return pieces[0]
+        df = reduce(lambda a, b: a.unionByName(b), (x.df for x in pieces))
+        return Relation(df, frozenset().union(*(x.maybe for x in pieces)), sum(x.rows for x in pieces), files=frozenset().union(*(x.files for x in pieces)))
+
+    def sweep(self) -> None:
+        """Deletes snapshots of this run that no value reads."""
+        live = frozenset().union(*(r.files for r in self.env.values()), *(r.files for log in self.logs.values() for r in log))
+        dead = self.made - live
+        if dead:
+            discard(self.catalog.spark, dead)
+            self.made -= dead
+
+    def pin(self, s: Loop) -> int | None:
+        """Snapshots what the loop reads; the partitions of a steady loop, or None where plans must adapt."""
+        wanted = [n for n in loop_reads(s) if n in self.env]
+        for name in wanted:
+            r = self.env[name]
+            if r.vars and not r.kept:
+                self.env = {**self.env, name: self.keep(r)}
+        spark = self.catalog.spark
+        parts = parts_for(spark, max((self.env[n].rows or 0 for n in wanted), default=0))
+        if opaque(s):
+            return None
+        keys = join_keys(s, {n: frozenset(r.vars) for n, r in self.env.items()}) | dict(s.keys)
+        plain = [n for n in wanted if self.env[n].vars and n in keys]
+        if any(has_hub(self.env[n].df, keys[n], self.env[n].rows, parts) for n in plain):
+            return None
+        for name in wanted:
+            r = self.env[name]
+            if r.vars and (parts == 1 or name in keys):
+                self.env = {**self.env, name: self.noted(replace(r, df=laid_out(r.df, keys.get(name), parts)))}
+        return parts
+
     def loop(self, s: Loop) -> None:
         limit = s.max_rounds or self.max_rounds
         rounds, seen, power, lap = 0, None, 1, 0
+        spark = self.catalog.spark
+        parts = self.pin(s) if self.mode == "plan" else None
+        outer = self.carried
+        self.carried = outer | (assigned(s.body) if opaque(s) or s.guard else set(loop_reads(s)))
         while True:
             before = self.env
             rounds += 1
-            self.statements(s.body, True, rounds)
-            if self.met(s.until, before, rounds):
+            with settings(spark, steady(parts)) if parts else nullcontext():
+                self.statements(s.body, True, rounds)
+                met = self.met(s.until, before, rounds)
+            self.sweep()
+            if met:
                 break
+            if parts:
+                parts = max(parts, parts_for(spark, max((r.rows or 0 for n, r in self.env.items()), default=0)))
             if self.deadline and time.time() > self.deadline:
                 raise TimeLimit(f"stopped after {rounds} rounds")
             if rounds >= limit:
@@ -135,12 +279,20 @@ class _Run:
                 lap += 1
                 if lap == power:
                     seen, power, lap = state, power * 2, 0
+        self.carried = outer
         self.rounds.append(rounds)
 
+    def print_of(self, var: str, relation: Relation):
+        held = self.prints.get(var)
+        return held[1] if held and held[0] is relation else fingerprint(relation.df)
+
     def met(self, c, before: dict[str, Relation], rounds: int) -> bool:
         if isinstance(c, Times):
             return rounds >= c.rounds
         if isinstance(c, AskTrue):
+            empty = _asks_for_nothing(c.query)
+            if empty in self.env and self.env[empty].rows is not None:
+                return self.env[empty].rows == 0
             return ask(c.query, self.env, self.catalog)
         if isinstance(c, Until):
             return c.test(self.env, before)
@@ -158,7 +310,38 @@ class _Run:
             return old.rows is not None and old.rows == new.rows or (old.df.count() == new.df.count())
         if c.check == "exact":
             return same_set(old.df, new.df)
-        return sorted(old.vars) == sorted(new.vars) and fingerprint(old.df) == fingerprint(new.df)
+        if sorted(old.vars) != sorted(new.vars):
+            return False
+        a, b = self.print_of(c.var, old), fingerprint(new.df)
+        self.prints[c.var] = (new, b)
+        return a == b
+
+
+def _added(s: Let) -> q.Query | None:
+    """What a statement adds to its variable, if that is all it does."""
+    body = s.query
+    if isinstance(body, q.Union):
+        for own, more in ((body.left, body.right), (body.right, body.left)):
+            if own == q.VarRef(s.var) and s.var not in references(more):
+                return more
+    return None
+
+
+def _asks_for_nothing(query: q.Query) -> str | None:
+    """The variable x of a condition that counts the solutions of x and compares the number with 0."""
+    query = query.body if isinstance(query, q.Ask) else query
+    if not isinstance(query, q.Filter) or not isinstance(query.condition, q.Call) or query.condition.fn != "=":
+        return None
+    counted, zero = query.condition.args
+    body, names = query.body, {}
+    if isinstance(body, q.Project):
+        names = {i[1]: i[0] for i in body.items if not isinstance(i, str)}
+        body = body.body
+    counted = names.get(getattr(counted, "name", None), counted)
+    plain = isinstance(body, q.Group) and not body.keys and body.having is None and isinstance(body.body, q.VarRef)
+    if plain and zero == q.Const(0) and body.aggs == ((getattr(counted, "name", None), q.Agg("count")),):
+        return body.body.name
+    return None
 
 
 def run(
@@ -173,7 +356,7 @@ def run(
 ) -> RunResult:
     """Runs a procedure. ``mode``: 'plan' refers to results as plans, 'inline' writes them into queries, 'batched' splits where a statement says how.
 
-    Variables have global scope. Not ``strict``, a variable that is read before it has a value holds no solutions.
+    After ``timeout_s`` its jobs are cancelled. Variables have global scope. Not ``strict``, a variable that is read before it has a value holds no solutions.
     """
     issues = validate(proc, strict)
     if issues:
@@ -183,7 +366,9 @@ def run(
     state = _Run(catalog, mode, max_rounds, time.time() + timeout_s if timeout_s else None, inline_rows)
     state.env = dict(env or {})
     *body, last = proc.statements
-    state.statements(body, False)
+    state.shared = read_often(proc)
+    with time_limit(catalog.spark, timeout_s):
+        state.statements(body, False)
     assert isinstance(last, Return)
     return RunResult(state.env[last.var], state.rounds, state.trace, state.env)
 

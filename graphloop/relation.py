@@ -11,11 +11,13 @@ from pyspark.sql import functions as F
 
 @dataclass(frozen=True)
 class Relation:
-    """``df`` has one column per variable; only variables in ``maybe`` may be null."""
+    """``df`` has one column per variable; only variables in ``maybe`` may be null. ``kept`` marks snapshots; ``files`` are those it reads."""
 
     df: DataFrame
     maybe: frozenset = frozenset()
     rows: int | None = None
+    kept: bool = False
+    files: frozenset = frozenset()
 
     @property
     def vars(self) -> list[str]:

@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from graphloop.workloads import algebra, analytics, around, batch, expressive, functions, language
+from graphloop.workloads import algebra, analytics, around, batch, expressive, functions, language, tasks
 
-_PARTS = (analytics, language, batch, expressive, algebra, functions, around)
+_PARTS = (analytics, language, batch, expressive, algebra, functions, around, tasks)
 
 
 def queries() -> dict:

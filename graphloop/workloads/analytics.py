@@ -187,19 +187,23 @@ def pr_paper_sample(spark, sf_dir):
 
 
 def _first_round(spark, sf_dir):
-    return pr.run(pr.pagerank_procedure(pairs(spark, sf_dir, "g2"), until=Times(1)), pr.Catalog(spark)).env
+    return pr.run(pr.pagerank_procedure(until=Times(1)), pr.graph_catalog(pairs(spark, sf_dir, "g2"))).env
 
 
 _ONE = sql.pagerank(sql.pairs("g2"), 1)
-for _name, _var, _text in (
-    ("pr_nodes", "nodes", "SELECT node FROM nodes"),
-    ("pr_n", "n", "SELECT n::BIGINT AS n FROM n"),
-    ("pr_share_1", "share", "SELECT node, round(share, 6) AS share FROM s1"),
-    ("pr_leftover_1", "leftover", "SELECT round(1 - sum(share), 6) AS leftover FROM s1"),
-):
-    add(_name, f"{_ONE} {_text}")(
-        lambda spark, sf_dir, v=_var: rounded(_first_round(spark, sf_dir)[v].df, v) if v in ("share", "leftover") else _first_round(spark, sf_dir)[v].df
-    )
+add("pr_nodes", f"{_ONE} SELECT node FROM nodes")(lambda spark, sf_dir: _first_round(spark, sf_dir)["place"].df)
+add("pr_n", f"{_ONE} SELECT n::BIGINT AS n FROM n")(lambda spark, sf_dir: _first_round(spark, sf_dir)["size"].df.select(F.col("many").alias("n")))
+
+
+@add("pr_share_1", f"{_ONE} SELECT node, round(share, 6) AS share FROM s1")
+def pr_share_1(spark, sf_dir):
+    return _first_round(spark, sf_dir)["sent"].df.select(F.col("to").alias("node"), F.round(F.col("gain").cast("double"), 6).alias("share"))
+
+
+@add("pr_leftover_1", f"{_ONE} SELECT round(1 - sum(share), 6) AS leftover FROM s1")
+def pr_leftover_1(spark, sf_dir):
+    env = _first_round(spark, sf_dir)
+    return env["dealt"].df.crossJoin(env["size"].df).select(F.round((F.col("base") * F.col("many")).cast("double"), 6).alias("leftover"))
 
 
 @add("pr_degree", f"SELECT src AS node, count(*)::BIGINT AS degree FROM ({sql.pairs('g2')}) GROUP BY src")
@@ -228,24 +232,41 @@ def pr_hoisted_equals_plain(spark, sf_dir):
     return check("pr_hoisted_equals_plain", differ(a, b), spark)
 
 
-def _stopped(spark, edges, until):
-    found = pr.pagerank(edges, until=until)
-    return spark.createDataFrame([(found.rounds[0], True)], "rounds long, settled boolean")
+_ROUNDS = 15
 
 
-@add("pr_residual_stop")
+def _stops(measure: str, test: str) -> str:
+    """Rounds and the measure at the first round that passes the test, over unrolled rounds."""
+    parts = " UNION ALL ".join(f"SELECT {k} AS k, {measure} AS m FROM r{k} a JOIN r{k - 1} b USING (node)" for k in range(1, _ROUNDS + 1))
+    return f"{sql.pagerank(sql.pairs('g2'), _ROUNDS)}, moves AS ({parts}) SELECT k::BIGINT AS rounds, round(m, 6)::DOUBLE AS measured FROM moves WHERE {test} ORDER BY k LIMIT 1"
+
+
+def _stopped(spark, sf_dir, until, seen):
+    found = pr.pagerank(pairs(spark, sf_dir, "g2"), until=until)
+    return spark.createDataFrame([(found.rounds[0], round(seen[-1], 6))], "rounds long, measured double")
+
+
+@add("pr_residual_stop", _stops("sum(abs(a.rank - b.rank))", "m < 1e-3"))
 def pr_residual_stop(spark, sf_dir):
-    return _stopped(spark, pairs(spark, sf_dir, "g2"), pr.residual_below(1e-3))
+    seen = []
+    return _stopped(spark, sf_dir, pr.residual_below(1e-3, seen=seen), seen)
 
 
-@add("pr_corr_stop")
+@add("pr_corr_stop", _stops("CASE WHEN stddev_pop(b.rank) > 1e-12 THEN corr(a.rank, b.rank) END", "m > 0.9999"))
 def pr_corr_stop(spark, sf_dir):
-    return _stopped(spark, pairs(spark, sf_dir, "g2"), pr.correlation_above(0.9999))
+    seen = []
+    return _stopped(spark, sf_dir, pr.correlation_above(0.9999, seen), seen)
 
 
-@add("pr_tol")
+@add("pr_tol", _stops("max(abs(a.rank - b.rank))", "m <= 1e-4"))
 def pr_tol(spark, sf_dir):
-    return _stopped(spark, pairs(spark, sf_dir, "g2"), FixpointWithin("rank", "node", "rank", 1e-4))
+    """A fixpoint within a tolerance, and how far the last round moved any rank: one round more tells."""
+    e = pairs(spark, sf_dir, "g2")
+    rounds = pr.pagerank(e, until=FixpointWithin("held", "node", "rank", 1e-4)).rounds[0]
+    last = pr.pagerank(e, until=Times(rounds)).df
+    before = pr.pagerank(e, until=Times(rounds - 1)).df if rounds > 1 else pr_rank0(spark, sf_dir)
+    moved = last.join(before.withColumnRenamed("rank", "old"), "node").agg(F.max(F.abs(F.col("rank") - F.col("old")))).first()[0]
+    return spark.createDataFrame([(rounds, round(moved, 6))], "rounds long, measured double")
 
 
 @add("rank_error", zero("rank_error"))
