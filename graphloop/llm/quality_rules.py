@@ -15,7 +15,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphloop.llm.text import SPACES
+from graphloop.llm.text import SPACES, unused
 
 WINDOW = 8
 # The characters that count as symbols.
@@ -135,8 +135,9 @@ def ledger(df: DataFrame, text_col: str = "text", rules: list[Rule] = RULES) ->
     def measure(texts: pd.Series) -> pd.DataFrame:
         return pd.DataFrame([measure_text(t) for t in texts], columns=MEASURES)
 
-    kept = [c for c in df.columns if c not in (*MEASURES, "failed", "_m")]
-    measured = df.withColumn("_m", measure(F.col(text_col))).select(*(F.col(f"`{c}`") for c in kept), *(F.col(f"_m.{m}") for m in MEASURES))
+    kept = [c for c in df.columns if c.lower() not in (*MEASURES, "failed")]
+    (found,) = unused(df, "measured")
+    measured = df.withColumn(found, measure(F.col(f"`{text_col}`"))).select(*(F.col(f"`{c}`") for c in kept), *(F.col(f"`{found}`.{m}").alias(m) for m in MEASURES))
     failed = F.lit(0).cast("long")
     for rule in rules:
         failed = failed.bitwiseOR(F.when(F.expr(rule.fails), F.lit(1 << rule.bit)).otherwise(F.lit(0)).cast("long"))
