@@ -17,6 +17,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from graphloop.llm.text import unused
+
 # Families of common language codes; any other code is a family of its own.
 FAMILIES = {
     "germanic": ["en", "de", "nl", "sv", "da", "no", "nb", "nn", "is", "af"],
@@ -189,9 +191,10 @@ def identify(df: DataFrame, model: LanguageModel | None, text_col: str = "text")
             scores.append(score)
         return pd.DataFrame({"lang_pred": languages, "score": np.concatenate(scores) if scores else []})
 
-    kept = [c for c in df.columns if c not in ("lang_pred", "score", "_judged")]
-    judged = df.withColumn("_judged", judge(F.col(text_col)))
-    return judged.select(*(F.col(f"`{c}`") for c in kept), "_judged.lang_pred", "_judged.score")
+    kept = [c for c in df.columns if c.lower() not in ("lang_pred", "score")]
+    (found,) = unused(df, "judged")
+    judged = df.withColumn(found, judge(F.col(f"`{text_col}`")))
+    return judged.select(*(F.col(f"`{c}`") for c in kept), *(F.col(f"`{found}`.{c}").alias(c) for c in ("lang_pred", "score")))
 
 
 def digest(documents: DataFrame) -> DataFrame:
