@@ -10,6 +10,8 @@ then rows within a bucket), so neither a source with a third of all rows nor the
 meets in one task: the shuffle order is cut by its leading hex digits, the finish times by
 ranges of equal width, which hold about equal numbers of words because all queues are served
 at constant rates.
+Ranges that begin when the budget is used up are left out before rows are dealt to ranges, so the
+copies that come too late, which may be most, meet in no task.
 """
 
 from __future__ import annotations
@@ -23,6 +25,7 @@ from graphloop.materialize import stored
 
 ROWS_A_BUCKET = 10_000
 MAX_RANGES = 16_384
+LATE = 4
 
 
 def source_targets(sizes: DataFrame, weights: list[int], max_epochs: int) -> DataFrame:
@@ -98,15 +101,15 @@ def mix(
     copies = queued.select("*", epoch).withColumn(
         "finish", (F.col("epoch") * F.col("source_size") + F.col("upto")).cast("double") / F.col("target")
     )
-    # No copy that finishes after twice the common time can fit: all queues together have the budget at time 1.
-    copies = copies.withColumn("range", F.least(F.floor(F.col("finish") * ranges), F.lit(2 * ranges)))
+    copies = copies.withColumn("range", F.least(F.floor(F.col("finish") * ranges), F.lit(LATE * ranges)))
     budget = base.agg(F.coalesce(F.sum("size"), F.lit(0)).alias("budget"))
     heads = _starts(copies, ["range"], Window.partitionBy(F.lit(0)).orderBy("range"))
     in_range = Window.partitionBy("range").orderBy("finish", "rank", "turn", "id", "size", "row_id", "epoch").rowsBetween(Window.unboundedPreceding, 0)
+    # At most LATE * MAX_RANGES + 1 rows, whatever the corpus. A document has a word at least: none fits from the budget on.
+    open_ranges = F.broadcast(heads.join(F.broadcast(budget)).where(F.col("start") < F.col("budget")))
     served = (
-        copies.join(heads, "range")
+        copies.join(open_ranges, "range")
         .withColumn("total", F.col("start") + F.sum("size").over(in_range))
-        .join(F.broadcast(budget))
         .where(F.col("total") <= F.col("budget"))
         .groupBy("row_id")
         .agg(F.count(F.lit(1)).alias("copies"))
