@@ -9,7 +9,9 @@ once its counts over all runs reach the threshold, so settled keys stay settled.
 
 Only DataFrame functions are used. Counting is combined before the shuffle, so a line found
 in every document costs one row per task. Documents and their line keys meet by a join on the
-document, never by a broadcast.
+document, never by a broadcast. Frequent keys meet the documents that hold them by a join on the
+key, but for the hottest: few can be that frequent, whatever the size of the corpus, so they are broadcast and
+their rows stay where they are (``holders``).
 """
 
 from __future__ import annotations
@@ -19,10 +21,11 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from graphloop.llm.text import fold_ascii, sha256_hex, strip
+from graphloop.llm.text import fold_ascii, sha256_hex, strip, unused
 from graphloop.materialize import stored
 
 KEY = ["h1", "h2"]
+HOT_SHARE = 1_000
 
 
 def line_key(line: Column) -> Column:
@@ -55,10 +58,15 @@ class LineRuns:
             return None
         return self._summed(runs) if len(runs) > 1 else runs[0]
 
+    def settled(self) -> DataFrame | None:
+        """Keys that have reached the threshold, with the documents counted so far."""
+        found = self.counts()
+        return None if found is None else found.where(F.col("n_docs") >= self.threshold)
+
     def frequent(self) -> DataFrame | None:
         """Keys that have reached the threshold."""
-        found = self.counts()
-        return None if found is None else found.where(F.col("n_docs") >= self.threshold).select(*KEY)
+        found = self.settled()
+        return None if found is None else found.select(*KEY)
 
     def add(self, doc_keys: DataFrame) -> None:
         """Adds a batch: one row (h1, h2) for each distinct line key of each of its documents."""
@@ -92,14 +100,26 @@ def document_keys(df: DataFrame, row_col: str, text_col: str, min_chars: int = 1
     )
 
 
+def holders(keys: DataFrame, settled: DataFrame, batches: int) -> DataFrame:
+    """Rows of ``keys`` (row, h1, h2) with a key of ``settled`` (h1, h2, n_docs).
+
+    A key is hot if its count, which ends with the batch that settles it, is more than one in
+    ``HOT_SHARE`` of the rows of a batch. Counts sum to the rows at most, so there are fewer than
+    ``HOT_SHARE * batches`` hot keys.
+    """
+    hot = F.broadcast(stored(settled.where(F.col("n_docs") * HOT_SHARE * batches > keys.count()).select(*KEY)))
+    common = keys.join(hot, KEY, "left_semi")
+    return common.unionByName(keys.join(hot, KEY, "left_anti").join(settled.select(*KEY), KEY, "left_semi"))
+
+
 def dedup_lines(
     df: DataFrame,
     id_col: str = "doc_id",
     text_col: str = "text",
     threshold: int = 10,
     min_chars: int = 1,
-    batches: int = 2,
-    fanout: int = 4,
+    batches: int = 3,
+    fanout: int = 2,
 ) -> DataFrame:
     """Drops every line whose key is found in ``threshold`` documents or more.
 
@@ -109,32 +129,31 @@ def dedup_lines(
     a set of lines that are dropped everywhere, so rows that share an id, or its hash, cannot
     harm each other. An empty table gives an empty result; columns of ``df`` named like a
     result are replaced, all others pass through. Documents are added to the runs in
-    ``batches`` slices.
+    ``batches`` slices; with the defaults the first two runs are compacted before the third batch is held against them.
     """
-    row = F.xxhash64(F.col(id_col))
-    keys = stored(document_keys(df.select(row.alias("_row"), F.col(text_col)), "_row", text_col, min_chars))
+    row = F.xxhash64(F.col(f"`{id_col}`"))
+    keys = stored(document_keys(df.select(row.alias("row"), F.col(f"`{text_col}`").alias("text")), "row", "text", min_chars))
     runs = LineRuns(threshold, fanout)
     for batch in range(batches):
         part = keys if batches == 1 else keys.where(F.pmod(F.col("row"), F.lit(batches)) == batch)
         runs.add(part.select(*KEY))
-    drops = (
-        keys.join(runs.frequent(), KEY, "left_semi")
-        .groupBy("row")
-        .agg(F.collect_set("h1").alias("_drop"))
-        .withColumnRenamed("row", "_row")
-    )
-    plain = [c for c in df.columns if c not in ("n_lines", "n_dropped")]
-    joined = df.select(*(F.col(f"`{c}`") for c in plain)).withColumn("_row", row).join(drops, "_row", "left")
-    lines = lines_of(F.col(text_col))
+    hits = holders(keys, stored(runs.settled()), batches)
+    plain = [c for c in df.columns if c.lower() not in ("n_lines", "n_dropped")]
+    held_row, held_drop, held_kept = unused(df, "row", "drop", "kept")
+    drops = hits.groupBy(F.col("row").alias(held_row)).agg(F.collect_set(F.struct(*KEY)).alias(held_drop))
+    joined = df.select(*(F.col(f"`{c}`") for c in plain)).withColumn(held_row, row).join(drops, held_row, "left")
+    lines, drop = lines_of(F.col(f"`{text_col}`")), F.col(held_drop)
+    first = F.transform(drop, lambda x: x["h1"])
 
     def stays(line: Column) -> Column:
         key = line_key(line)
-        return (F.length(key) < min_chars) | ~F.array_contains(F.col("_drop"), F.xxhash64(key))
+        h1, h2 = _hashes(key)
+        return (F.length(key) < min_chars) | ~(F.array_contains(first, h1) & F.array_contains(drop, F.struct(h1, h2)))
 
-    kept = F.when(F.col("_drop").isNull(), lines).otherwise(F.filter(lines, stays))
-    cut = joined.withColumn("_kept", kept).withColumn("n_lines", F.size(lines).cast("long"))
-    cut = cut.withColumn("n_dropped", F.col("n_lines") - F.size("_kept"))
-    cut = cut.withColumn(text_col, F.array_join("_kept", "\n"))
+    kept = F.when(drop.isNull(), lines).otherwise(F.filter(lines, stays))
+    cut = joined.withColumn(held_kept, kept).withColumn("n_lines", F.size(lines).cast("long"))
+    cut = cut.withColumn("n_dropped", F.col("n_lines") - F.size(held_kept))
+    cut = cut.withColumn(text_col, F.array_join(held_kept, "\n"))
     return cut.select(*(F.col(f"`{c}`") for c in plain), "n_lines", "n_dropped")
 
 

@@ -6,7 +6,7 @@ import re
 import pytest
 from pyspark.sql import functions as F
 
-from graphloop.llm import fingerprint, line_dedup, mixing, quality_rules, url_filter
+from graphloop.llm import fingerprint, kneser_ney, language_id, line_dedup, mixing, near_dup, quality_rules, suffix_dedup, url_filter
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 ODD = [(1, None, None), (2, "", "a"), (3, "a\n\nb", "a"), (3, "a\n\nb", "a"), (None, "a", None), (4, " \t ", "b"), (5, "x" * 70 + "é漢\U0001f600" * 30 + "\nend", "b")]
@@ -204,3 +204,46 @@ def test_urls(spark):
     assert url_filter.filter_urls(df.where("false"), rules).count() == 0
     with pytest.raises(ValueError):
         url_filter.UrlTrie([url_filter.UrlRule("deny", "a")])
+
+
+# Columns of the user's own, named like anything an operator may use within
+
+
+def test_other_columns_pass_through(spark):
+    names = ["_row", "row", "drop", "_drop", "kept", "_kept", "judged", "_judged", "measured", "_m", "Start", "range"]
+    df = spark.createDataFrame([(1, "a b\nc", "http://x.com/en/", *names), (2, None, None, *names)], ["doc_id", "text", "url", *names])
+    for out in (line_dedup.dedup_lines(df, threshold=2), url_filter.filter_urls(df, []), quality_rules.ledger(df), language_id.identify(df, None)):
+        assert [tuple(r) for r in out.select(*names).collect()] == [tuple(names)] * 2
+    upper = df.withColumn("HOST", F.lit("mine")).withColumn("N_Lines", F.lit("mine")).withColumn("Score", F.lit("mine")).withColumn("Failed", F.lit("mine"))
+    for out in (line_dedup.dedup_lines(upper), url_filter.filter_urls(upper, []), quality_rules.ledger(upper), language_id.identify(upper, None)):
+        assert out.count() == 2
+    odd = df.withColumn("source", F.lit("s"))
+    assert mixing.mix(odd).count() == 2 and fingerprint.fingerprints(odd).count() == 2
+    assert near_dup.near_duplicates(odd).count() == 2 and suffix_dedup.dedup_passages(odd).count() == 2
+    assert kneser_ney.classify(odd.withColumn("lang", F.lit("en")), df.selectExpr("doc_id AS id")).count() == 2
+
+
+def test_hot_lines_are_found_by_broadcast_and_by_join(spark, monkeypatch):
+    rows = [(k, f"everywhere\nsometimes {k % 7}\nown {k}") for k in range(400)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    expected = {k: f"own {k}" for k, _ in rows}
+    for share in (1, 8, 100_000):
+        monkeypatch.setattr(line_dedup, "HOT_SHARE", share)
+        assert {r.doc_id: r.text for r in line_dedup.dedup_lines(df).collect()} == expected
+
+
+def test_late_copies_meet_in_no_task(spark, monkeypatch):
+    monkeypatch.setattr(mixing, "ROWS_A_BUCKET", 50)
+    rows = [(k, "w " * (k % 5 + 1), "big" if k % 20 else "tiny") for k in range(3000)]
+    out = mixing.mix(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()
+    taken = {}
+    for r in out:
+        taken[r.source] = taken.get(r.source, 0) + r.taken
+    targets = {r.source: r.target for r in out}
+    assert all(abs(taken[s] - targets[s]) <= 10 for s in targets)
+
+
+def test_rules_of_many_lengths_share_a_node():
+    trie = url_filter.UrlTrie([url_filter.UrlRule("block", "a.com", "/x"), url_filter.UrlRule("allow", "a.com", "/xyz"), url_filter.UrlRule("block", "com", "/xyzzy")])
+    assert [trie.match("a.com", p)[0] for p in ("/x", "/xy", "/xyz", "/xyzzy", "/w", "")] == ["a.com/x", "a.com/x", "a.com/xyz", "a.com/xyz", None, None]
+    assert trie.match("b.com", "/xyzzy/1") == ("com/xyzzy", "block")
