@@ -6,7 +6,7 @@ function on the eight states of a small automaton. These functions form a finite
 their composition is a table look-up, and all states of a batch come from a blocked
 associative scan. Where a state meets a class that starts a slice there is a boundary.
 
-Equal slices of a stretch are found by hash, and the distinct ones feed a cache of merged
+Equal slices of a stretch are found by hash and confirmed byte by byte, and the distinct ones feed a cache of merged
 pairs. Short slices that it lacks are merged together, a matrix of
 parts with one merge in every row at a time; a long one is merged by a heap in O(n log n), so
 a slice of any length is handled whole. Token ids keep the byte offset of each token, with
@@ -157,6 +157,20 @@ def boundaries(joined: str, resets: np.ndarray) -> np.ndarray:
     return np.flatnonzero(_STARTS[states, kind])
 
 
+def _distinct(raw: bytes, data: np.ndarray, starts: np.ndarray, spans: np.ndarray, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(first slice of each kind, kind of each slice); slices of one hash are one kind only if all their bytes agree."""
+    _, first, same = np.unique(hashes, return_index=True, return_inverse=True)
+    like = first[same]
+    if (spans == spans[like]).all():
+        inside = np.arange(int(spans.sum())) - np.repeat(np.cumsum(spans) - spans, spans)
+        if (data[np.repeat(starts, spans) + inside] == data[np.repeat(starts[like], spans) + inside]).all():
+            return first, same
+    known: dict[bytes, int] = {}
+    kinds = [known.setdefault(raw[a : a + n], len(known)) for a, n in zip(starts.tolist(), spans.tolist(), strict=True)]
+    same = np.array(kinds)
+    return np.unique(same, return_index=True)[1], same
+
+
 class Vocabulary:
     """Ranks of byte strings; encodes slices and holds tables for decoding."""
 
@@ -319,8 +333,25 @@ class Vocabulary:
         return self.bytes[shift + np.arange(total[-1])]
 
 
+def stretches(text: str, size: int) -> Iterator[str]:
+    """A text in parts of about ``size`` characters, cut only before white space that follows something else.
+
+    A slice starts there whatever stands before, and classes look ahead only, so the parts have
+    the slices of the whole. A run without such a place is one part.
+    """
+    spaces, at = frozenset(map(chr, WHITE_SPACE)), 0
+    while len(text) - at > size:
+        cut = at + size
+        while cut < len(text) and not (text[cut] in spaces and text[cut - 1] not in spaces):
+            cut += 1
+        yield text[at:cut]
+        at = cut
+    if at < len(text) or not text:
+        yield text[at:]
+
+
 class Encoder:
-    """Encodes lists of texts, a bounded number of characters at a time."""
+    """Encodes lists of texts, a bounded number of characters at a time, also of one text."""
 
     def __init__(self, vocabulary: Vocabulary):
         self.vocabulary = vocabulary
@@ -354,6 +385,12 @@ class Encoder:
         """(ids, tokens of each text) for consecutive stretches of ``texts``."""
         start = 0
         while start < len(texts):
+            if len(texts[start]) > CHUNK_CHARS:
+                parts = [self._stretch([part])[0] for part in stretches(texts[start], CHUNK_CHARS)]
+                ids = np.concatenate(parts)
+                yield ids, np.array([len(ids)])
+                start += 1
+                continue
             stop, chars = start, 0
             while stop < len(texts) and (stop == start or chars + len(texts[stop]) <= CHUNK_CHARS):
                 chars += len(texts[stop])
@@ -389,7 +426,7 @@ class Encoder:
             codes[seams] = 0
             hashes = mix(np.add.reduceat(codes, starts) + spans.astype(np.uint64))[keep]
         starts, spans = starts[keep], spans[keep]
-        _, first, same = np.unique(hashes, return_index=True, return_inverse=True)
+        first, same = _distinct(raw, data, starts, spans, hashes)
         begin = starts[first]
         found = self._merge([raw[a:b] for a, b in zip(begin.tolist(), (begin + spans[first]).tolist(), strict=True)])
         sizes = np.fromiter(map(len, found), dtype=np.int64, count=len(found))

@@ -58,3 +58,24 @@ def test_operator_rows_offsets_and_nulls(spark, reference):
 def test_empty_table(spark):
     df = spark.createDataFrame([], "doc_id long, text string")
     assert byte_bpe.digest(df, PATH).count() == 0
+
+
+def test_long_texts_are_cut_without_a_trace(monkeypatch):
+    import random
+
+    rng = random.Random(8)
+    pieces = ["word", "  ", " ", "\n", "\n\n", "don't", "12", "é漢", "\U0001f600", "\u2003", "'re", "...", " x"]
+    vocabulary = byte_bpe.Vocabulary.load(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"))
+    texts = ["".join(rng.choice(pieces) for _ in range(400)) for _ in range(30)] + ["a" * 900, " " * 900, ""]
+    whole = [[int(i) for i in ids] for t in texts for ids, _ in byte_bpe.Encoder(vocabulary).encode([t])]
+    monkeypatch.setattr(byte_bpe, "CHUNK_CHARS", 50)
+    assert [[int(i) for i in ids] for t in texts for ids, _ in byte_bpe.Encoder(vocabulary).encode([t])] == whole
+    assert all("".join(byte_bpe.stretches(t, 50)) == t for t in texts)
+
+
+def test_slices_of_one_hash_are_told_apart(monkeypatch):
+    vocabulary = byte_bpe.Vocabulary.load(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"))
+    text = "alpha beta gamma alpha delta"
+    expected = [int(i) for ids, _ in byte_bpe.Encoder(vocabulary).encode([text]) for i in ids]
+    monkeypatch.setattr(byte_bpe, "mix", lambda x: x & byte_bpe.np.uint64(1))
+    assert [int(i) for ids, _ in byte_bpe.Encoder(vocabulary).encode([text]) for i in ids] == expected
