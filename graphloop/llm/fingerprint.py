@@ -1,8 +1,10 @@
 """Document fingerprints: a Merkle tree over paragraphs and sections.
 
-Leaves are spans of at most ``SPAN`` code points that never cross a line end; a paragraph is
+Leaves are spans of ``LEAST`` to ``SPAN`` code points that end with a blank, if there is one, and
+never cross a line end, so spans fall into step again after an insertion; a paragraph is
 a line, a section ``FANOUT`` paragraphs, and the root covers the sections. Equal roots mean
 equal texts; where roots differ, unequal sections, then paragraphs, then spans locate the edit.
+Likeness goes down the tree too: the spans of sections that agree count without being opened.
 
 Only built-in functions are used. The text is cut in one pass by a bounded pattern, so a very
 long line costs time in proportion to its length.
@@ -17,9 +19,9 @@ from pyspark.sql.window import Window
 from graphloop.llm.text import sha256_hex
 from graphloop.materialize import stored
 
-SPAN = 32
+LEAST, SPAN = 12, 48
 FANOUT = 16
-LEAF_HEX = 6
+LEAF_HEX, SECTION_HEX = 10, 16
 ROWS_A_RANGE = 2_000
 BYTES_A_RANGE = 8_000_000
 CUTS = 1 << 20
@@ -41,9 +43,16 @@ def root(section_digests: Column) -> Column:
 
 
 def leaves(text: Column) -> Column:
-    """Short hashes of the spans, in order."""
-    spans = F.regexp_extract_all(text, F.lit(rf"[^\n]{{1,{SPAN}}}\n?|\n"), F.lit(0))
-    return F.transform(spans, lambda s: F.substring(F.md5(s.cast("binary")), 1, LEAF_HEX))
+    """Short hashes of the spans of each section, in order."""
+    lines = F.split(text, "\n", -1)
+    first = F.sequence(F.lit(0), F.floor((F.size(lines) - 1) / FANOUT).cast("int"))
+    pattern = F.lit(rf"[^\n]{{{LEAST},{SPAN}}}? |[^\n]{{1,{SPAN}}}\n?|\n")
+
+    def of(part: Column) -> Column:
+        spans = F.regexp_extract_all(part, pattern, F.lit(0))
+        return F.transform(spans, lambda x: F.substring(F.md5(x.cast("binary")), 1, LEAF_HEX))
+
+    return F.transform(first, lambda k: of(F.array_join(F.slice(lines, k * FANOUT + 1, FANOUT), "\n")))
 
 
 def with_tree(df: DataFrame, text: Column, prefix: str = "") -> DataFrame:
@@ -54,13 +63,27 @@ def with_tree(df: DataFrame, text: Column, prefix: str = "") -> DataFrame:
     return df.withColumn(r, root(F.col(s))).withColumn(x, leaves(text))
 
 
-def likeness(root_a: Column, leaves_a: Column, root_b: Column, leaves_b: Column) -> Column:
-    """1 for equal roots; else the share of distinct leaves in common, below 1."""
-    a, b = F.array_distinct(leaves_a), F.array_distinct(leaves_b)
-    most = F.greatest(F.size(a), F.size(b))
-    common = F.size(F.array_intersect(a, b))
-    part = common.cast("double") / F.greatest(most + F.when(common == most, 1).otherwise(0), F.lit(1)).cast("double")
-    return F.when(root_a == root_b, F.lit(1.0)).otherwise(part)
+def likeness(a: str, b: str) -> Column:
+    """Of the trees whose columns have the prefixes ``a`` and ``b``: 1 for equal roots, else below 1.
+
+    Sections that agree, place by place, bring all their spans; the others are opened, and of their
+    distinct spans those in common count. The sum is taken against all of the larger tree's.
+    """
+    n = F.greatest(F.size(f"{a}sections"), F.size(f"{b}sections"))
+    places = F.sequence(F.lit(0), n - 1)
+    agree = F.filter(places, lambda k: F.get(f"{a}sections", k).eqNullSafe(F.get(f"{b}sections", k)))
+    differ = F.filter(places, lambda k: ~F.get(f"{a}sections", k).eqNullSafe(F.get(f"{b}sections", k)))
+
+    def opened(prefix: str) -> Column:
+        none = F.array().cast("array<string>")
+        return F.array_distinct(F.flatten(F.transform(differ, lambda k: F.coalesce(F.get(f"{prefix}leaves", k), none))))
+
+    closed = F.aggregate(agree, F.lit(0), lambda total, k: total + F.size(F.get(f"{a}leaves", k)))
+    x, y = opened(a), opened(b)
+    common, most = F.size(F.array_intersect(x, y)), F.greatest(F.size(x), F.size(y))
+    whole = closed + most + F.when(common == most, 1).otherwise(0)
+    part = (closed + common).cast("double") / F.greatest(whole, F.lit(1)).cast("double")
+    return F.when(F.col(f"{a}root") == F.col(f"{b}root"), F.lit(1.0)).otherwise(part)
 
 
 def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -153,13 +176,14 @@ def compare_with_edits(df: DataFrame, id_col: str = "doc_id", text_col: str = "t
     rows = rows.withColumn("edited", F.concat(start, F.substring(F.col("next_text"), F.lit(1), half)))
     for prefix, text in (("", "text"), ("edited_", "edited"), ("next_", "next_text")):
         rows = with_tree(rows, F.col(text), prefix)
-    near = {f"near_{name}": likeness(F.col("root"), F.col("leaves"), F.col(f"{name}_root"), F.col(f"{name}_leaves")) for name in ("edited", "next")}
+    near = {f"near_{name}": likeness("", f"{name}_") for name in ("edited", "next")}
     return rows.withColumns(near)
 
 
 def as_text(prefix: str = "") -> Column:
-    """A fingerprint as one string: root, colon, leaves."""
-    return F.concat(F.col(f"{prefix}root"), F.lit(":"), F.array_join(f"{prefix}leaves", ""))
+    """A fingerprint as one string: the root, then of each section a colon, the start of its digest, a dot and its leaves."""
+    parts = F.zip_with(f"{prefix}sections", f"{prefix}leaves", lambda d, x: F.concat(F.lit(":"), F.substring(d, 1, SECTION_HEX), F.lit("."), F.array_join(x, "")))
+    return F.concat(F.col(f"{prefix}root"), F.array_join(parts, ""))
 
 
 def digest(compared: DataFrame) -> DataFrame:

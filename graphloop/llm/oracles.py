@@ -37,18 +37,27 @@ FROM known k LEFT JOIN served s USING (id)
 
 
 def _tree(text: str) -> str:
-    """Struct of root and leaves of a text."""
-    return f"""(SELECT {{'root': sha256(array_to_string(list_transform(range(0, ((len(p) - 1) // 16 + 1)::BIGINT),
-        lambda k: sha256(array_to_string(p[(k * 16 + 1):(k * 16 + 16)], ''))), '')),
-      'leaves': list_transform(regexp_extract_all({text}, '[^\\n]{{1,32}}\\n?|\\n'), lambda s: substring(md5(s), 1, 6))}}
-     FROM (SELECT list_transform(string_split({text}, chr(10)), lambda x: sha256(x)) AS p))"""
+    """Struct of root, section digests and leaves by section of a text."""
+    return f"""(SELECT {{'root': sha256(array_to_string(sections, '')), 'sections': sections, 'leaves': leaves}} FROM (
+      SELECT list_transform(places, lambda k: sha256(array_to_string(list_transform(lines[(k * 16 + 1):(k * 16 + 16)], lambda x: sha256(x)), ''))) AS sections,
+        list_transform(places, lambda k: list_transform(regexp_extract_all(array_to_string(lines[(k * 16 + 1):(k * 16 + 16)], chr(10)),
+          '[^\\n]{{12,48}}? |[^\\n]{{1,48}}\\n?|\\n'), lambda s: substring(md5(s), 1, 10))) AS leaves
+      FROM (SELECT lines, range(0, ((len(lines) - 1) // 16 + 1)::BIGINT) AS places FROM (SELECT string_split({text}, chr(10)) AS lines))))"""
 
 
 def _likeness(a: str, b: str) -> str:
-    common = f"len(list_intersect(list_distinct({a}.leaves), list_distinct({b}.leaves)))"
-    most = f"greatest(len(list_distinct({a}.leaves)), len(list_distinct({b}.leaves)))"
-    return f"""CASE WHEN {a}.root = {b}.root THEN 1.0::DOUBLE
-      ELSE {common}::DOUBLE / greatest({most} + CASE WHEN {common} = {most} THEN 1 ELSE 0 END, 1)::DOUBLE END"""
+    def opened(t: str) -> str:
+        return f"list_distinct(flatten(list_transform(list_filter(range(0, places), lambda k: {a}.sections[k + 1] IS DISTINCT FROM {b}.sections[k + 1]), lambda k: coalesce({t}.leaves[k + 1], []))))"
+
+    return f"""(SELECT CASE WHEN {a}.root = {b}.root THEN 1.0::DOUBLE ELSE (closed + len(list_intersect(x, y)))::DOUBLE
+        / greatest(closed + greatest(len(x), len(y)) + CASE WHEN len(list_intersect(x, y)) = greatest(len(x), len(y)) THEN 1 ELSE 0 END, 1)::DOUBLE END
+      FROM (SELECT {opened(a)} AS x, {opened(b)} AS y,
+          coalesce(list_sum(list_transform(list_filter(range(0, places), lambda k: {a}.sections[k + 1] IS NOT DISTINCT FROM {b}.sections[k + 1]), lambda k: len({a}.leaves[k + 1]))), 0) AS closed
+        FROM (SELECT greatest(len({a}.sections), len({b}.sections))::BIGINT AS places)))"""
+
+
+def _shown(t: str) -> str:
+    return f"{t}.root || array_to_string(list_transform(range(0, len({t}.sections)::BIGINT), lambda k: ':' || substring({t}.sections[k + 1], 1, 16) || '.' || array_to_string({t}.leaves[k + 1], '')), '')"
 
 
 _FINGERPRINTS = f"""
@@ -61,8 +70,8 @@ edits AS (
 trees AS (
   SELECT doc_id, n_chars, edited, {_tree('text')} AS t, {_tree('edited')} AS e, {_tree('next_text')} AS n FROM edits)
 SELECT doc_id, n_chars, sha256(edited) AS edited_sha256,
-       t.root || ':' || array_to_string(t.leaves, '') AS fingerprint,
-       e.root || ':' || array_to_string(e.leaves, '') AS edited_fingerprint,
+       {_shown('t')} AS fingerprint,
+       {_shown('e')} AS edited_fingerprint,
        {_likeness('t', 'e')} AS near_edited, {_likeness('t', 'n')} AS near_next
 FROM trees
 """

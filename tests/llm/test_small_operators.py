@@ -247,3 +247,18 @@ def test_rules_of_many_lengths_share_a_node():
     trie = url_filter.UrlTrie([url_filter.UrlRule("block", "a.com", "/x"), url_filter.UrlRule("allow", "a.com", "/xyz"), url_filter.UrlRule("block", "com", "/xyzzy")])
     assert [trie.match("a.com", p)[0] for p in ("/x", "/xy", "/xyz", "/xyzzy", "/w", "")] == ["a.com/x", "a.com/x", "a.com/xyz", "a.com/xyz", None, None]
     assert trie.match("b.com", "/xyzzy/1") == ("com/xyzzy", "block")
+
+
+def test_likeness_follows_the_branches(spark):
+    import random
+
+    rng = random.Random(3)
+    lines = [" ".join(rng.choice("lorem ipsum dolor sit amet elit sed do eiusmod".split()) + str(rng.randrange(99)) for _ in range(30)) for _ in range(60)]
+    inserted = [*lines[:20], lines[20].replace(" ", " word ", 1), *lines[21:]]
+    cases = {1: lines, 2: inserted, 3: lines[:30] + [x[::-1] for x in lines[30:]], 4: [x[::-1] for x in lines], 5: ["new line", *lines]}
+    df = spark.createDataFrame([(k, "\n".join(x)) for k, x in cases.items()], "id long, text string")
+    base = fingerprint.with_tree(df.where("id = 1"), F.col("text"))
+    other = fingerprint.with_tree(df, F.col("text"), "o_").withColumnRenamed("id", "other").drop("text")
+    found = {r.other: r.near for r in base.crossJoin(other).select("other", fingerprint.likeness("", "o_").alias("near")).collect()}
+    assert found[1] == 1.0 and 0.98 < found[2] < 1.0 and 0.4 < found[3] < 0.6 and found[4] < 0.1
+    assert found[5] > 0.95  # all sections shift by a line, and their spans are still found
