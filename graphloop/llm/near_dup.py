@@ -10,13 +10,15 @@
    large at the last level is so alike that all of it is taken as candidates of one hub.
 3. Candidates form provisional groups. Within a group links are confirmed on full sets: in one
    task up to ``block`` members; beyond that in blocks, each with the group's hub, after which
-   the members that are not yet one with the hub are compared, as queries, with all blocks.
-   Comparisons stop where two members are known to be connected, so no group emits its pairs.
+   the members that are not yet one with the hub are compared, in blocks too, with all blocks: a
+   task never holds more than two blocks. Comparisons stop where two members are known to be
+   connected, so no group emits its pairs, and pairs are passed over only where a count of
+   shingles by hash proves that they share too few.
 4. Confirmed links are contracted to components.
 
 A pair at the threshold is missed with probability below 0.0001 as a candidate of small nodes: by
-all trees down to the deepest level, or by the margin on signatures, which confirmation uses too. The number of trees is
-derived from that (``tree_count``). Every reported link is exact.
+all trees down to the deepest level, or by the margin on signatures. The number of trees is
+derived from that (``tree_count``). Every reported link is exact, and confirmation misses none.
 """
 
 from __future__ import annotations
@@ -40,6 +42,8 @@ _SEEDS = _RNG.integers(0, 2**32, COORDINATES, dtype=np.uint32)
 _ODD = _RNG.integers(0, 2**31, COORDINATES, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
 _ROWS = 512
 MISS = 0.0001
+CELLS = 512
+HOT_SHARE = 1_000
 BRANCHES = 2
 
 
@@ -65,6 +69,12 @@ def similar(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     return 100 * common >= percent * (small + large - common)
 
 
+def cells(shingles: np.ndarray) -> np.ndarray:
+    """How many shingles fall into each of ``CELLS`` cells: two sets share at most the sum of the smaller counts."""
+    counts = np.bincount((shingles >> np.uint64(40)).astype(np.int64) % CELLS, minlength=CELLS)
+    return np.minimum(counts, 2**31 - 1).astype(np.int32)
+
+
 def describe(df: DataFrame, width: int) -> DataFrame:
     """(id, row_hash, n, s1, s2, sig) for rows (id, row_hash, text)."""
     schema = f"id {dict(df.dtypes)['id']}, row_hash long, n long, s1 long, s2 long, sig binary"
@@ -171,6 +181,18 @@ def _compare_small(members: DataFrame, percent: int, leaf: int) -> DataFrame:
     return dealt.mapInArrow(run, "src long, dst long").distinct()
 
 
+def _by_node(members: DataFrame, nodes: DataFrame) -> DataFrame:
+    """``members`` joined with ``nodes`` (node, size, ...), written before.
+
+    Nodes with more than one in ``HOT_SHARE`` of all rows are fewer than ``HOT_SHARE``, so they are
+    broadcast, and the rows of a crowded node stay where they are.
+    """
+    total = nodes.agg(F.sum("size")).first()[0] or 0
+    hot = F.broadcast(nodes.where(F.col("size") * HOT_SHARE > total))
+    rest = members.join(hot.select("node"), "node", "left_anti").join(nodes, "node")
+    return members.join(hot, "node").unionByName(rest)
+
+
 def candidates(sets: DataFrame, percent: int, trees: int, branches: int = BRANCHES, leaf: int = 32, depth: int = 4) -> DataFrame:
     """Candidate links (src, dst) between rows (rid, n, sig)."""
     tops = F.explode(F.array(*(F.xxhash64(F.lit(f"tree {t}")) for t in range(trees))))
@@ -178,16 +200,16 @@ def candidates(sets: DataFrame, percent: int, trees: int, branches: int = BRANCH
     links = None
     for level in range(1, depth + 1):
         members = members.select("rid", "n", "sig", F.explode(_children(branches)).alias("node"))
-        sizes = members.groupBy("node").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
-        members = stored(members.join(sizes, "node"))
+        sizes = stored(members.groupBy("node").agg(F.count(F.lit(1)).alias("size")).where("size > 1"))
+        members = stored(_by_node(members, sizes))
         small = _compare_small(members.where(F.col("size") <= leaf), percent, leaf)
         links = small if links is None else links.unionByName(small)
         members = members.where(F.col("size") > leaf)
         if members.isEmpty():
             break
     else:
-        hubs = members.groupBy("node").agg(F.min("rid").alias("src"))
-        stars = members.join(hubs, "node").select("src", F.col("rid").alias("dst")).where("src <> dst")
+        hubs = stored(members.groupBy("node").agg(F.count(F.lit(1)).alias("size"), F.min("rid").alias("src")))
+        stars = _by_node(members.drop("size"), hubs).select("src", F.col("rid").alias("dst")).where("src <> dst")
         links = links.unionByName(stars.distinct())
     return links
 
@@ -212,23 +234,28 @@ class _Groups:
 
 
 def _confirm(rows: DataFrame, width: int, percent: int) -> DataFrame:
-    """Exact links that connect what is alike among rows (grp, block, probe, rid, label, sig, text).
+    """Exact links that connect what is alike among rows (grp, block, asked, probe, rid, label, text).
 
-    In a group without probes all rows are compared, in one with probes only probes with the
+    In a block without probes all rows are compared, in one with probes only probes with the
     others. Rows with one label are connected already. A row is first held against the first
-    member of each group, then, while they are apart, against the others; pairs whose
-    signatures rule them out, by the margin of the candidate search, are passed over.
+    member of each group, then, while they are apart, against the others; pairs that cannot
+    share enough by their sizes and cells are passed over.
     """
-    least = _least_agreement(percent)
 
-    def links(rids, labels, probes, sigs, sets) -> Iterator[tuple[int, int]]:
+    def links(rids, labels, probes, sets) -> Iterator[tuple[int, int]]:
         known, asked = _Groups(), bool(probes.any())
+        counts = np.array([cells(x) for x in sets])
+        sizes = np.array([len(x) for x in sets])
         clusters: dict[int, list[int]] = {}
         order = np.argsort(probes, kind="stable").tolist()
         for i in order:
             mine = known.find(labels[i])
-            alike = (sigs == sigs[i]).sum(axis=1) >= least
             if not asked or probes[i]:
+                both = sizes + sizes[i]
+                near = np.flatnonzero(100 * np.minimum(sizes, sizes[i]) >= percent * np.maximum(sizes, sizes[i]))
+                shared = np.minimum(counts[near], counts[i]).sum(axis=1)
+                alike = np.zeros(len(sets), dtype=bool)
+                alike[near] = (100 + percent) * shared >= percent * both[near]
                 for other in sorted(clusters, key=lambda c: -len(clusters[c])):
                     if other == known.find(mine) or other not in clusters:
                         continue
@@ -241,48 +268,59 @@ def _confirm(rows: DataFrame, width: int, percent: int) -> DataFrame:
                             clusters[top] = merged
                             mine = top
                             break
-            clusters.setdefault(known.find(mine), []).append(i)
+            if not (asked and probes[i]):
+                clusters.setdefault(known.find(mine), []).append(i)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table in _runs(batches, ["grp", "block"]):
-            grp, block = table.column("grp").to_numpy(), table.column("block").to_numpy()
-            cuts = np.flatnonzero((grp[1:] != grp[:-1]) | (block[1:] != block[:-1])) + 1
-            for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(grp)], strict=True):
+        for table in _runs(batches, ["grp", "block", "asked"]):
+            keys = [table.column(c).to_numpy() for c in ("grp", "block", "asked")]
+            cuts = np.flatnonzero(np.any([k[1:] != k[:-1] for k in keys], axis=0)) + 1
+            for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(keys[0])], strict=True):
                 part = table.slice(a, b - a)
                 sets = list(shingle_sets(part.column("text").to_pylist(), width))
                 rids, labels = part.column("rid").to_pylist(), part.column("label").to_pylist()
-                sigs = np.frombuffer(b"".join(part.column("sig").to_pylist()), dtype=np.uint16).reshape(-1, COORDINATES)
-                found = list(links(rids, labels, part.column("probe").to_numpy(), sigs, sets))
+                found = list(links(rids, labels, part.column("probe").to_numpy(), sets))
                 if found:
                     src, dst = zip(*found, strict=True)
                     yield pa.RecordBatch.from_arrays([pa.array(src, pa.int64()), pa.array(dst, pa.int64())], names=["src", "dst"])
 
-    dealt = rows.select("grp", "block", "probe", "rid", "label", "sig", "text").repartition("grp", "block")
-    return dealt.sortWithinPartitions("grp", "block", "rid").mapInArrow(run, "src long, dst long")
+    dealt = rows.select("grp", "block", "asked", "probe", "rid", "label", "text").repartition("grp", "block", "asked")
+    return dealt.sortWithinPartitions("grp", "block", "asked", "rid").mapInArrow(run, "src long, dst long")
 
 
 def confirmed(texts: DataFrame, width: int, percent: int, block: int = 512) -> DataFrame:
-    """Exact links among provisional groups; rows (rid, grp, hub, size, sig, text), written before."""
-    n_blocks = F.when(F.col("size") <= block, F.lit(1)).otherwise(F.ceil(F.col("size") / (block // 2))).cast("int")
-    rows = texts.withColumn("n_blocks", n_blocks).withColumn("probe", F.lit(0)).withColumn("label", F.col("rid"))
+    """Exact links among provisional groups; rows (rid, grp, hub, size, text), written before."""
+
+    def blocks(n: Column) -> Column:
+        return F.ceil(n / (block // 2)).cast("int")
+
+    def spread(k: Column) -> Column:
+        return F.explode(F.sequence(F.lit(0), k - 1))
+
+    n_blocks = F.when(F.col("size") <= block, F.lit(1)).otherwise(blocks(F.col("size")))
+    rows = texts.withColumn("n_blocks", n_blocks).withColumn("probe", F.lit(0)).withColumn("asked", F.lit(0)).withColumn("label", F.col("rid"))
     own = rows.withColumn("block", F.pmod(F.xxhash64("rid"), F.col("n_blocks")).cast("int"))
     large = rows.where(F.col("n_blocks") > 1)
-    everywhere = F.explode(F.sequence(F.lit(0), F.col("n_blocks") - 1))
-    hubs = large.where(F.col("rid") == F.col("hub")).withColumn("block", everywhere)
+    hubs = large.where(F.col("rid") == F.col("hub")).withColumn("block", spread(F.col("n_blocks")))
     first = stored(_confirm(own.unionByName(hubs), width, percent))
     if large.isEmpty():
         return first
     roots, _ = contract(first)
-    labelled = large.drop("label").join(roots.select(F.col("node").alias("rid"), "component"), "rid", "left")
+    # Ids and labels only: texts join what is still to be compared.
+    labelled = large.select("rid", "grp", "hub", "n_blocks").join(roots.select(F.col("node").alias("rid"), "component"), "rid", "left")
     labelled = stored(labelled.withColumn("label", F.coalesce("component", "rid")).drop("component"))
     heads = labelled.where(F.col("rid") == F.col("hub")).select("grp", F.col("label").alias("head"))
-    apart = labelled.join(heads, "grp").where(F.col("label") != F.col("head")).drop("head")
+    apart = stored(labelled.join(F.broadcast(heads) if heads.count() < 100_000 else heads, "grp").where(F.col("label") != F.col("head")).select("rid", "grp", "label", "n_blocks"))
     if apart.isEmpty():
         return first
-    asked = apart.withColumn("probe", F.lit(1)).withColumn("block", everywhere)
-    held = labelled.withColumn("block", F.pmod(F.xxhash64("rid"), F.col("n_blocks")).cast("int"))
-    touched = held.join(apart.select("grp").distinct(), "grp", "left_semi")
-    return first.unionByName(_confirm(touched.unionByName(asked), width, percent))
+    asking = apart.groupBy("grp").agg(blocks(F.count(F.lit(1))).alias("n_asked"))
+    bodies = texts.select("rid", "text")
+    asked = apart.join(asking, "grp").withColumn("asked", F.pmod(F.xxhash64(F.lit("asked"), "rid"), F.col("n_asked")).cast("int"))
+    asked = asked.join(bodies, "rid").withColumn("probe", F.lit(1)).withColumn("block", spread(F.col("n_blocks")))
+    held = labelled.join(asking, "grp").withColumn("block", F.pmod(F.xxhash64("rid"), F.col("n_blocks")).cast("int"))
+    held = held.join(bodies, "rid").withColumn("probe", F.lit(0)).withColumn("asked", spread(F.col("n_asked")))
+    columns = ["grp", "block", "asked", "probe", "rid", "label", "text"]
+    return first.unionByName(_confirm(held.select(columns).unionByName(asked.select(columns)), width, percent))
 
 
 def near_duplicates(
@@ -309,9 +347,9 @@ def near_duplicates(
     hubs = groups.select(F.col("component").alias("rid"), F.col("component").alias("grp")).distinct()
     groups = hubs.unionByName(groups.select(F.col("node").alias("rid"), F.col("component").alias("grp")))
     sizes = groups.groupBy("grp").agg(F.count(F.lit(1)).alias("size"))
-    wanted = groups.join(sizes, "grp").join(sets.select("rid", "first", "row_hash", "sig"), "rid").withColumn("hub", F.col("grp"))
+    wanted = groups.join(sizes, "grp").join(sets.select("rid", "first", "row_hash"), "rid").withColumn("hub", F.col("grp"))
     same = base["id"].eqNullSafe(wanted["first"]) & (base["row_hash"] == wanted["row_hash"])
-    texts = stored(base.join(wanted, same).select("rid", "grp", "hub", "size", "sig", "text"))
+    texts = stored(base.join(wanted, same).select("rid", "grp", "hub", "size", "text"))
     roots, _ = contract(confirmed(texts, width, percent, block))
     named = sets.select("s1", "s2", "rid", "first").join(roots.withColumnRenamed("node", "rid"), "rid", "left")
     named = named.withColumn("root", F.coalesce("component", "rid"))

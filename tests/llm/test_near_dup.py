@@ -90,3 +90,43 @@ def test_derived_trees_are_used(spark, monkeypatch):
     monkeypatch.setattr(near_dup, "candidates", lambda sets, percent, trees, **more: used.append(trees) or plain(sets, percent, trees, **more))
     near_dup.near_duplicates(spark.createDataFrame([(1, "a b c")], "doc_id long, text string"))
     assert used == [5]
+
+
+def test_cells_never_rule_out_a_link():
+    rng = near_dup.np.random.Generator(near_dup.np.random.PCG64(1))
+    for size in (1, 5, 60, 4000):
+        a = rng.integers(0, 2**63, size, dtype=near_dup.np.uint64)
+        b = near_dup.np.concatenate([a[: size // 2 + 1], rng.integers(0, 2**63, size // 2, dtype=near_dup.np.uint64)])
+        assert near_dup.np.minimum(near_dup.cells(a), near_dup.cells(b)).sum() >= len(near_dup.np.intersect1d(a, b))
+
+
+def test_pairs_at_the_threshold_are_found(spark):
+    """Many lone pairs whose similarity is from 80 to 86 hundredths: none is lost."""
+    rng = random.Random(21)
+    rows, pairs = [], 0
+    for k in range(300):
+        words = [f"{rng.randrange(10**6)}" for _ in range(200)]
+        other = list(words)
+        for at in rng.sample(range(10, 190), 6):
+            other[at] = "x"
+        rows += [(2 * k, " ".join(words)), (2 * k + 1, " ".join(other))]
+    found = near_dup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), width=3, percent=80).collect()
+    got = {r.id: r.component for r in found}
+    for (i, a), (j, b) in zip(rows[::2], rows[1::2], strict=True):
+        x, y = ({tuple(t.split()[n : n + 3]) for n in range(198)} for t in (a, b))
+        linked = 100 * len(x & y) >= 80 * len(x | y)
+        pairs += linked
+        assert (got[j] == i) == linked
+    assert pairs > 200
+
+
+def test_group_of_thousands_with_apart_members(spark):
+    """A chain of 1,500 near copies: the first and the last are nothing alike, and most are apart from the hub."""
+    rng = random.Random(22)
+    words = [f"{rng.randrange(10**6)}" for _ in range(80)]
+    rows = []
+    for k in range(1500):
+        rows.append((k, " ".join(words)))
+        words[(7 * k) % 80] = f"{rng.randrange(10**6)}"
+    out = near_dup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), width=3, percent=85, leaf=4, depth=1, block=64).collect()
+    assert {r.component for r in out} == {0}
