@@ -47,7 +47,7 @@ LENGTH, GRAM = 200, 40
 SEGMENT = 4_000_000
 CHUNK = 2_000_000
 RUN_BYTES = 12_000_000
-SAMPLE_DOCS, SAMPLE_PLACES, SAMPLE_BYTES = 2_000, 16, 24
+SAMPLE, SAMPLE_BYTES = 12_000, 240
 INTERVAL, OPEN, SETTLED = 0, 1, 2
 
 _RNG = np.random.Generator(np.random.PCG64(9))
@@ -187,21 +187,35 @@ def repeated_anchors(found: DataFrame) -> DataFrame:
     return found.repartition(route).sortWithinPartitions("hash").mapInArrow(run, "dk long, chk int, pack long")
 
 
-def splitters(docs: DataFrame, n_docs: int) -> list[bytes]:
-    """Sorted leading bytes of suffixes of about ``SAMPLE_DOCS`` documents, ``SAMPLE_PLACES`` of each."""
-    share = min(1.0, SAMPLE_DOCS / max(1, n_docs))
+def splitters(texts: DataFrame, found: DataFrame, n_found: int, gram: int) -> dict[str, list[bytes]]:
+    """Sorted leading bytes of about ``SAMPLE`` of the suffixes that are sorted, by the kind of suffix.
+
+    They are drawn from the suffixes themselves and are longer than a window, so a range is cut
+    wherever different suffixes part, however many share their first bytes. Kinds: 'suffix' from the
+    first window on, 'right' from the anchor on, 'left' the anchor and the bytes before it read backwards.
+    """
+    share = min(1.0, SAMPLE / max(1, n_found))
+    drawn = F.pmod(F.xxhash64(F.lit("sample"), "dk", "chk", "pack"), F.lit(2**30)) < int(share * 2**30)
+    picked = found.where(drawn).groupBy("dk", "chk").agg(F.collect_set("pack").alias("packs"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = []
-            for text in batch.column("text").to_pylist():
+            kinds, heads = [], []
+            for text, packs in zip(batch.column("text").to_pylist(), batch.column("packs").to_pylist(), strict=True):
                 raw = text.encode()
-                step = max(1, len(raw) // SAMPLE_PLACES)
-                found += [raw[at : at + SAMPLE_BYTES] for at in range(step // 2, len(raw), step)][:SAMPLE_PLACES]
-            yield pa.RecordBatch.from_arrays([pa.array(found, pa.binary())], names=["head"])
+                for pack in packs:
+                    place = pack >> 16
+                    low = place - (pack >> 8 & 255)
+                    kinds += ["suffix", "right", "left"]
+                    heads += [raw[low : low + SAMPLE_BYTES], raw[place : place + SAMPLE_BYTES], raw[place : place + gram] + raw[low:place][::-1]]
+            yield pa.RecordBatch.from_arrays([pa.array(kinds, pa.string()), pa.array(heads, pa.binary())], names=["kind", "head"])
 
-    picked = docs.select("text").sample(share, seed=1)
-    return sorted(bytes(row.head) for row in picked.mapInArrow(run, "head binary").collect())
+    # The sample's size is fixed, whatever the corpus.
+    rows = texts.join(F.broadcast(picked), ["dk", "chk"]).select("text", "packs").mapInArrow(run, "kind string, head binary").collect()
+    out: dict[str, list[bytes]] = {"suffix": [], "right": [], "left": []}
+    for row in rows:
+        out[row.kind].append(bytes(row.head))
+    return {kind: sorted(heads) for kind, heads in out.items()}
 
 
 def cut_ranges(sample: list[bytes], ranges: int) -> list[bytes]:
@@ -312,14 +326,14 @@ def suffix_runs(rows: DataFrame, cuts: list[bytes], length: int, gram: int) -> D
     return rows.select("dk", "chk", "copies", "text", "packs").mapInArrow(run, PIECE)
 
 
-def side_runs(items: DataFrame, cuts: list[bytes], gram: int) -> DataFrame:
+def side_runs(items: DataFrame, left: list[bytes], right: list[bytes], gram: int) -> DataFrame:
     """The same for both sides of the anchors of rows (kind, dk, chk, low, place, rest).
 
     A side is told by a first byte and by the last bit of what stands for ``low``.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        made = _Run([b"L" + c for c in cuts] + [b"R"] + [b"R" + c for c in cuts], tell_known=True)
+        made = _Run([b"L" + c for c in left] + [b"R"] + [b"R" + c for c in right], tell_known=True)
         for batch in batches:
             for kind, dk, chk, low, place, item in zip(*(batch.column(c).to_pylist() for c in ("kind", "dk", "chk", "low", "place", "rest")), strict=True):
                 known = int(kind == SETTLED)
@@ -492,13 +506,13 @@ def merged(pieces: DataFrame, least: int, suffixes: bool = False, sides: bool =
     return pieces.repartition("dest").sortWithinPartitions("dest").mapInArrow(run, schema)
 
 
-def _open_windows(first: DataFrame, sample: list[bytes], length: int, gram: int) -> DataFrame:
+def _open_windows(first: DataFrame, sample: dict[str, list[bytes]], length: int, gram: int) -> DataFrame:
     """(kind, dk, chk, low, starts, rest): where suffixes of open windows, and of settled ones that may equal them, start."""
     opened = first.where(F.col("kind") == OPEN)
     settled = first.where(F.col("kind") == SETTLED).join(opened.select("hash").distinct(), "hash", "left_semi").select(opened.columns)
     items = opened.unionByName(settled)
     ranges = max(1, items.count() * 2 * length // RUN_BYTES)
-    sides = merged(side_runs(items, cut_ranges(sample, ranges), gram), gram + 1, sides=True)
+    sides = merged(side_runs(items, cut_ranges(sample["left"], ranges), cut_ranges(sample["right"], ranges), gram), gram + 1, sides=True)
     shared = F.col("high") - F.col("low")
     right = F.col("low").bitwiseAND(F.lit(1)) == 1
     reach = sides.groupBy("dk", "chk", F.shiftright("low", 1).alias("low")).agg(
@@ -561,17 +575,17 @@ def dedup_passages(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     found = stored(repeated_anchors(find_anchors(texts, length, gram)))
     release(spark)
     n_found = found.count()
-    sample = splitters(docs, docs.count()) if n_found else []
+    sample = splitters(texts, found, n_found, gram)
     spots = found.groupBy("dk", "chk").agg(F.collect_set("pack").alias("packs"))
 
     ranges = max(1, n_found * (length + length // 2) // RUN_BYTES)
-    pieces = suffix_runs(texts.join(spots, ["dk", "chk"]), cut_ranges(sample, ranges), length, gram)
+    pieces = suffix_runs(texts.join(spots, ["dk", "chk"]), cut_ranges(sample["suffix"], ranges), length, gram)
     first = stored(merged(pieces, length, suffixes=True))
     release(spark)
     windows = stored(_open_windows(first, sample, length, gram))
     release(spark)
     total = windows.agg(F.coalesce(F.sum(F.size("starts") * F.length("rest")), F.lit(0))).first()[0]
-    second = merged(window_runs(windows, cut_ranges(sample, max(1, total // RUN_BYTES)), length), length)
+    second = merged(window_runs(windows, cut_ranges(sample["suffix"], max(1, total // RUN_BYTES)), length), length)
 
     ends = docs.select("dk", "chk", F.lit(0).alias("low"), F.octet_length("text").alias("high")).where(F.col("high") >= length)
     copied = ends.groupBy("dk", "chk", "low", "high").agg(F.count(F.lit(1)).alias("copies")).where("copies > 1")

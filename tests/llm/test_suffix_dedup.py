@@ -77,3 +77,17 @@ def test_merge_keeps_order_and_prefixes():
         got = list(suffix_dedup.merge_runs([coded(r) for r in runs]))
         assert [s for _, s, _ in got] == sorted(s for r in runs for s in r)
         assert all(got[i][2] == suffix_dedup._common(got[i - 1][1], got[i][1], 0) for i in range(1, len(got)))
+
+
+def test_a_shared_start_does_not_make_one_range(spark):
+    """Suffixes that begin alike for 24 bytes and more are still dealt to several ranges."""
+    rng = random.Random(31)
+    head = "".join(rng.choice("abcdefgh") for _ in range(150))
+    tails = ["".join(rng.choice("abcdefgh ") for _ in range(120)) for _ in range(60)]
+    rows = [(k, head + tails[k % 60]) for k in range(180)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    texts = df.selectExpr("xxhash64(text) AS dk", "hash(text) AS chk", "text").distinct()
+    found = suffix_dedup.repeated_anchors(suffix_dedup.find_anchors(texts, 200, 40))
+    sample = suffix_dedup.splitters(texts, found, found.count(), 40)
+    assert len(suffix_dedup.cut_ranges(sample["suffix"], 8)) == 7 or len(set(sample["suffix"])) < 7
+    assert run(spark, rows) == brute_force(rows, 200)
