@@ -25,7 +25,7 @@ from pyspark.sql import types as T
 from graphloop.materialize import release, stored
 
 ORDER = 4
-BITS = 12
+BITS = 15
 POOLED = "*"
 BROADCAST_ROWS = 4_000_000
 CHUNK = 1_000_000
@@ -36,8 +36,8 @@ _ALPHABET = 2**BITS
 def grams(text: str, order: int = ORDER) -> np.ndarray:
     """Codes of the n-grams that end at each character and at the end of the text.
 
-    A character is one of ``2**BITS - 1`` classes by its code point; class 0 pads the start
-    and marks the end.
+    A character is one of ``2**BITS - 1`` classes, its code point modulo their number: no two characters that
+    lie less than that apart share a class, so none of one script do. Class 0 pads the start and marks the end.
     """
     cps = np.frombuffer(text.encode("utf-32-le"), dtype=np.uint32).astype(np.int64)
     padded = np.zeros(len(cps) + order, dtype=np.int64)
