@@ -181,16 +181,16 @@ def _compare_small(members: DataFrame, percent: int, leaf: int) -> DataFrame:
     return dealt.mapInArrow(run, "src long, dst long").distinct()
 
 
-def _by_node(members: DataFrame, nodes: DataFrame) -> DataFrame:
-    """``members`` joined with ``nodes`` (node, size, ...), written before.
+def _by_node(members: DataFrame, nodes: DataFrame, key: str = "node") -> DataFrame:
+    """``members`` joined with ``nodes`` (node, size, ...), written before; the node may be called ``key``.
 
     Nodes with more than one in ``HOT_SHARE`` of all rows are fewer than ``HOT_SHARE``, so they are
     broadcast, and the rows of a crowded node stay where they are.
     """
     total = nodes.agg(F.sum("size")).first()[0] or 0
     hot = F.broadcast(nodes.where(F.col("size") * HOT_SHARE > total))
-    rest = members.join(hot.select("node"), "node", "left_anti").join(nodes, "node")
-    return members.join(hot, "node").unionByName(rest)
+    rest = members.join(hot.select(key), key, "left_anti").join(nodes, key)
+    return members.join(hot, key).unionByName(rest)
 
 
 def candidates(sets: DataFrame, percent: int, trees: int, branches: int = BRANCHES, leaf: int = 32, depth: int = 4) -> DataFrame:
@@ -353,8 +353,8 @@ def near_duplicates(
     roots, _ = contract(confirmed(texts, width, percent, block))
     named = sets.select("s1", "s2", "rid", "first").join(roots.withColumnRenamed("node", "rid"), "rid", "left")
     named = named.withColumn("root", F.coalesce("component", "rid"))
-    least = named.groupBy("root").agg(F.min("first").alias("component_id"))
-    named = named.join(least, "root").select("s1", "s2", "component_id")
+    least = stored(named.groupBy("root").agg(F.min("first").alias("component_id"), F.count(F.lit(1)).alias("size")))
+    named = _by_node(named, least, "root").select("s1", "s2", "component_id")
     out = marked.select("id", "n", "s1", "s2").join(named, ["s1", "s2"], "left")
     component = F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("id"))
     return out.select("id", F.col("n").alias("n_shingles"), component.alias("component"), F.col("id").eqNullSafe(component).alias("kept"))
