@@ -187,7 +187,7 @@ def repeated_anchors(found: DataFrame) -> DataFrame:
     return found.repartition(route).sortWithinPartitions("hash").mapInArrow(run, "dk long, chk int, pack long")
 
 
-def splitters(texts: DataFrame, found: DataFrame, n_found: int, gram: int) -> dict[str, list[bytes]]:
+def splitters(docs: DataFrame, found: DataFrame, n_found: int, gram: int) -> dict[str, list[bytes]]:
     """Sorted leading bytes of about ``SAMPLE`` of the suffixes that are sorted, by the kind of suffix.
 
     They are drawn from the suffixes themselves and are longer than a window, so a range is cut
@@ -211,7 +211,8 @@ def splitters(texts: DataFrame, found: DataFrame, n_found: int, gram: int) -> di
             yield pa.RecordBatch.from_arrays([pa.array(kinds, pa.string()), pa.array(heads, pa.binary())], names=["kind", "head"])
 
     # The sample's size is fixed, whatever the corpus.
-    rows = texts.join(F.broadcast(picked), ["dk", "chk"]).select("text", "packs").mapInArrow(run, "kind string, head binary").collect()
+    texts = docs.join(F.broadcast(picked), ["dk", "chk"]).groupBy("dk", "chk").agg(F.first("text").alias("text"), F.first("packs").alias("packs"))
+    rows = texts.select("text", "packs").mapInArrow(run, "kind string, head binary").collect()
     out: dict[str, list[bytes]] = {"suffix": [], "right": [], "left": []}
     for row in rows:
         out[row.kind].append(bytes(row.head))
@@ -575,7 +576,7 @@ def dedup_passages(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     found = stored(repeated_anchors(find_anchors(texts, length, gram)))
     release(spark)
     n_found = found.count()
-    sample = splitters(texts, found, n_found, gram)
+    sample = splitters(docs, found, n_found, gram)
     spots = found.groupBy("dk", "chk").agg(F.collect_set("pack").alias("packs"))
 
     ranges = max(1, n_found * (length + length // 2) // RUN_BYTES)
