@@ -28,7 +28,7 @@ ENDS = """LET place = (SELECT DISTINCT ?node WHERE {
 
 def start_at(node: int) -> str:
     """A statement that starts a traversal at a given node."""
-    return f"LET start = (SELECT ({node} AS ?node) WHERE {{ }});"
+    return f"LET start = (SELECT ?node WHERE {{ VALUES ?node {{ {node} }} }});"
 
 
 BFS = """

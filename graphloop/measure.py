@@ -5,11 +5,12 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphloop.algorithms.pagerank import node_set
-from graphloop.plans.runtime import TimeLimit
+from graphloop.plans.runtime import InlineLimit, TimeLimit, time_limit
+from graphloop.relation import TooLarge
 
 
 def graph_size(edges: DataFrame) -> DataFrame:
@@ -21,22 +22,25 @@ def graph_size(edges: DataFrame) -> DataFrame:
 
 
 def measure(task: Callable[[], DataFrame], timeout_s: float = 600) -> dict:
-    """Seconds, rows and status (ok, timeout, memory, skipped, error) of a task with its subgraph query."""
+    """Seconds, rows and status (ok, timeout, memory, skipped, error) of a task with its subgraph query.
+
+    Jobs that run longer than ``timeout_s`` are cancelled. A task is skipped where it would need a
+    product or a query text that is too large.
+    """
     began = time.time()
     out = {"seconds": None, "rows": None, "status": "ok"}
     try:
-        out["rows"] = task().count()
+        with time_limit(SparkSession.getActiveSession(), timeout_s):
+            out["rows"] = task().count()
     except TimeLimit:
         out["status"] = "timeout"
     except MemoryError:
         out["status"] = "memory"
-    except ValueError:
+    except (TooLarge, InlineLimit):
         out["status"] = "skipped"
     except Exception as problem:  # noqa: BLE001  the report must go on
         out["status"] = "memory" if "OutOfMemory" in str(problem) else "error"
     out["seconds"] = round(time.time() - began, 3)
-    if out["status"] == "ok" and out["seconds"] > timeout_s:
-        out["status"] = "timeout"
     return out
 
 

@@ -13,12 +13,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from graphloop.materialize import durable
-from graphloop.relation import Relation
+from graphloop.relation import Relation, TooLarge
 
 CROSS_ROWS = 1_000_000
 
 
-class CrossJoinTooLarge(ValueError):
+class CrossJoinTooLarge(TooLarge):
     """Neither side of a product is small."""
 
 

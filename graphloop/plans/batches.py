@@ -226,19 +226,112 @@ class Split:
         return eval_batches(query, plan, env, catalog, self.reducer, self.how, self.buckets)
 
 
-def exactness(query: q.Query, v: str) -> str:
+def exactness(query: q.Query, v: str, rules: dict[str, int], certain: set[str] | frozenset = frozenset(), complete: bool = False) -> str:
     """'EXACT' if the union of batches is known to be the full answer, else 'UNKNOWN'.
 
-    Sufficient: only joins, filters, projections and unions, and every grouping by ``v``.
+    ``rules`` has the rule that split each sequence, ``certain`` the sequences that bind ``v`` in every
+    solution, and ``complete`` says that the inner queries find every value that can join. Each
+    part of a query is then 'keyed', that is, each of its solutions is in one batch only, 'some', a
+    selection that is enough to be joined with something keyed, or 'whole', the same in every batch.
     """
-    for node in q.walk(query):
-        if isinstance(node, (q.Minus, q.Exists, q.LeftJoin, q.Slice, q.Distinct, q.Table, q.Ask, q.Construct)):
-            return "UNKNOWN"
+
+    def groups_by_v(node: q.Group) -> bool:
+        return any((k if isinstance(k, str) else k[0].name if isinstance(k[0], q.Var) and k[0].name == k[1] else None) == v for k in node.keys)
+
+    def look(node: q.Query) -> tuple[str | None, bool]:
+        """(kind, whether ``v`` itself is in scope)."""
+        if isinstance(node, q.VarRef):
+            rule = rules.get(node.name, 3)
+            if rule == 1:
+                return ("keyed" if node.name in certain else None), True
+            return ("some" if complete else None) if rule == 2 else "whole", False
+        if isinstance(node, (q.Pattern, q.Bgp, q.Values, q.Unit)):
+            return "whole", False
+        if isinstance(node, q.Join):
+            (a, x), (b, y) = look(node.left), look(node.right)
+            if None in (a, b) or a == b == "keyed" and not (x and y):
+                return None, False
+            return ("keyed" if "keyed" in (a, b) else "some" if "some" in (a, b) else "whole"), x or y
+        if isinstance(node, q.Union):
+            (a, x), (b, y) = look(node.left), look(node.right)
+            return (a if a == b and a in ("keyed", "whole") else None), x and y
+        if isinstance(node, (q.Filter, q.Extend)):
+            return look(node.body)
+        if isinstance(node, q.Project):
+            kind, x = look(node.body)
+            kept = v in node.items or any(not isinstance(i, str) and i == (q.Var(v), v) for i in node.items)
+            return kind, x and kept
+        if isinstance(node, q.Distinct):
+            kind, x = look(node.body)
+            return (kind if kind == "whole" or kind == "keyed" and x else None), x
         if isinstance(node, q.Group):
-            keys = {k if isinstance(k, str) else (k[0].name if isinstance(q.expr(k[0]), q.Var) else None) for k in node.keys}
-            if v not in keys:
-                return "UNKNOWN"
-    return "EXACT"
+            kind, x = look(node.body)
+            return (kind if kind == "whole" or kind == "keyed" and x and groups_by_v(node) else None), x
+        return None, False
+
+    return "EXACT" if look(query)[0] == "keyed" else "UNKNOWN"
+
+
+def verdict(query: q.Query, v: str, env: dict[str, Relation], split: SplitPlan, complete: bool = False) -> str:
+    """``exactness`` of a split that has been made; sequences that the query reads and the split left alone are whole."""
+    certain = {n for n, r in env.items() if v in r.vars and v not in r.maybe}
+    return exactness(query, v, split.rules, certain, complete)
+
+
+# Several split variables: every sequence is split by those that it binds, each batch is a tuple of values.
+
+
+def lift_tuples(node: q.Query, keys: dict[str, tuple], vs: tuple) -> tuple[q.Query, tuple]:
+    """(query that carries one key column for each split variable that its sequences bind, these variables)."""
+    column = {v: f"{KEY}_{v}" for v in vs}
+
+    def with_all(x: q.Query, have: tuple, want: tuple) -> q.Query:
+        return reduce(lambda a, v: q.Join(a, q.VarRef(f"{KEY}_domain_{v}")), (v for v in want if v not in have), x)
+
+    def go(x: q.Query) -> tuple[q.Query, tuple]:
+        if isinstance(x, q.VarRef):
+            return x, keys.get(x.name, ())
+        if isinstance(x, (q.Join, q.Union)):
+            (a, ka), (b, kb) = go(x.left), go(x.right)
+            every = tuple(v for v in vs if v in ka or v in kb)
+            if isinstance(x, q.Union):  # a side without a key is in every batch of that variable
+                a, b = with_all(a, ka, every), with_all(b, kb, every)
+            return replace(x, left=a, right=b), every
+        if isinstance(x, q.Project):
+            body, k = go(x.body)
+            return replace(x, body=body, items=(*x.items, *(column[v] for v in k))), k
+        if isinstance(x, q.Group):
+            body, k = go(x.body)
+            return replace(x, body=body, keys=(*x.keys, *(column[v] for v in k))), k
+        if isinstance(x, (q.Filter, q.Extend, q.Distinct)):
+            body, k = go(x.body)
+            return replace(x, body=body), k
+        if isinstance(x, (q.Pattern, q.Bgp, q.Values, q.Unit)):
+            return x, ()
+        raise ValueError(f"{type(x).__name__} cannot be lifted")
+
+    lifted, have = go(node)
+    return with_all(lifted, have, vs), vs
+
+
+def eval_tuples(query: q.Query, env: dict[str, Relation], catalog: Catalog, vs: tuple, reads: tuple) -> Relation:
+    """The union of the query's results over all tuples of values of ``vs``, in one query that carries the tuple as keys.
+
+    A sequence keeps, for a tuple, its rows that agree with it on the split variables it binds. A product
+    with the values of a variable that a part does not bind needs a small side, which is checked.
+    """
+    parts, keys = {}, {}
+    rels = {n: env[n] for n in reads}
+    for name, r in rels.items():
+        keys[name] = tuple(v for v in vs if v in r.vars)
+        df = r.df
+        for v in keys[name]:
+            df = df.where(F.col(v).isNotNull()).withColumn(f"{KEY}_{v}", F.col(v))
+        parts[name] = Relation(df, r.maybe - set(keys[name]), None if keys[name] else r.rows)
+    domains = {f"{KEY}_domain_{v}": Relation(split_domain(list(rels.values()), v).withColumnRenamed("c", f"{KEY}_{v}")) for v in vs}
+    lifted, _ = lift_tuples(query, keys, vs)
+    out = compile_query(lifted, {**env, **parts, **domains}, catalog)
+    return Relation(out.df.drop(*(f"{KEY}_{v}" for v in vs)), out.maybe)
 
 
 def batch_stats(split: SplitPlan) -> DataFrame:

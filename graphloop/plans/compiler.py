@@ -185,7 +185,9 @@ class _Compiler:
         columns, maybe = [], set()
         for item in node.items:
             value, name = (q.Var(item), item) if isinstance(item, str) else (q.expr(item[0]), item[1])
-            columns.append(column(value, set(body.vars)).alias(name))
+            # An alias that changes nothing would hide how a snapshot lies from what reads it.
+            same = isinstance(value, q.Var) and value.name == name and name in body.vars
+            columns.append(F.col(f"`{name}`") if same else column(value, set(body.vars)).alias(name))
             if not _sure(value, body):
                 maybe.add(name)
         return Relation(body.df.select(*columns), frozenset(maybe), body.rows)

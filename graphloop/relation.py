@@ -9,6 +9,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+class TooLarge(ValueError):
+    """What is asked for would need more than can be held or made; nothing was dropped to make it fit."""
+
+
 @dataclass(frozen=True)
 class Relation:
     """``df`` has one column per variable; only variables in ``maybe`` may be null. ``kept`` marks snapshots; ``files`` are those it reads."""

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from graphloop.relation import TooLarge
 from graphloop.terms import node_id, sql_id
 
 BRAND = "Brand#7"
@@ -54,7 +55,7 @@ def brand_citation(spark: SparkSession, sf_dir: str, brand: str = BRAND) -> Data
     rows = _dated_parts(spark, sf_dir, brand)
     pairs = rows.groupBy("l_partkey").count().agg(F.sum(F.col("count") * F.col("count"))).first()[0] or 0
     if pairs > PAIR_LIMIT:
-        raise ValueError(f"{pairs} pairs of orders share a part; narrow the topic")
+        raise TooLarge(f"{pairs} pairs of orders share a part; narrow the topic")
     old = rows.select("l_partkey", F.col("l_orderkey").alias("dst"), F.col("date").alias("old_date"))
     found = rows.join(old, "l_partkey").where(F.col("old_date") < F.col("date"))
     days = (F.datediff("date", "old_date") + 1).cast("double")
@@ -122,7 +123,7 @@ def nearest_vectors(spark: SparkSession, sf_dir: str, k: int = 5, queries: DataF
     vectors = read(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("x"))
     asked = vectors if queries is None else queries.select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("x"))
     if asked.count() > 100_000:
-        raise ValueError("too many query vectors to compare with all others")
+        raise TooLarge("too many query vectors to compare with all others")
 
     def dot(a, b):
         return F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, v: s + v)

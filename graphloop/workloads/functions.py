@@ -9,6 +9,9 @@ from graphloop.plans import query as q
 from graphloop.plans.catalog import tables_catalog
 from graphloop.plans.compiler import compile_query
 from graphloop.sources.edges import read
+from graphloop.workloads.analytics import pairs
+from graphloop.workloads.sqltext import pairs as pairs_sql
+
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -184,13 +187,18 @@ def udaf_grouped(spark, sf_dir):
     return df.groupBy("n").applyInPandas(per_group, "n long, k long, spread double")
 
 
-@add("udtf_neighbors", "SELECT x::BIGINT AS x, y::BIGINT AS y FROM (SELECT unnest([1, 2, 3]) AS x), (SELECT unnest([-1, 1]) AS d), LATERAL (SELECT x + d AS y)")
+@add("udtf_neighbors", f"SELECT src AS node, dst AS neighbour, row_number() OVER (PARTITION BY src ORDER BY dst)::INT AS place FROM ({pairs_sql('g3')})")
 def udtf_neighbors(spark, sf_dir):
-    @F.udtf(returnType="y: bigint")
-    class Around:
-        def eval(self, x: int):
-            yield (x - 1,)
-            yield (x + 1,)
-
-    spark.udtf.register("around_node", Around)
-    return spark.sql("SELECT CAST(x AS BIGINT) AS x, y FROM VALUES (1), (2), (3) AS t(x), LATERAL around_node(x)")
+    """A table function over a graph: it takes the edges, node by node, and numbers each node's neighbours."""
+
+    @F.udtf(returnType="node: bigint, neighbour: bigint, place: int")
+    class Neighbours:
+        def __init__(self):
+            self.place = 0
+
+        def eval(self, edge):
+            self.place += 1
+            yield edge["src"], edge["dst"], self.place
+
+    spark.udtf.register("neighbours_of", Neighbours)
+    return spark.sql("SELECT * FROM neighbours_of(TABLE(SELECT src, dst FROM {edges}) PARTITION BY src ORDER BY dst)", edges=pairs(spark, sf_dir, "g3"))
