@@ -189,8 +189,9 @@ def _by_node(members: DataFrame, nodes: DataFrame, key: str = "node") -> DataFra
     """
     total = nodes.agg(F.sum("size")).first()[0] or 0
     hot = F.broadcast(nodes.where(F.col("size") * HOT_SHARE > total))
-    rest = members.join(hot.select(key), key, "left_anti").join(nodes, key)
-    return members.join(hot, key).unionByName(rest)
+    marked = members.join(hot, key, "left")
+    rest = marked.where(F.col("size").isNull()).select(members.columns).join(nodes, key)
+    return marked.where(F.col("size").isNotNull()).unionByName(rest)
 
 
 def candidates(sets: DataFrame, percent: int, trees: int, branches: int = BRANCHES, leaf: int = 32, depth: int = 4) -> DataFrame:
