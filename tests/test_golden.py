@@ -32,10 +32,10 @@ def random_edges(seed, nodes=30, n=70):
 
 def test_worked_example(spark):
     e = graph(spark, SAMPLE)
-    env = pagerank.run(pagerank.pagerank_procedure(e, until=Times(1)), graph_catalog(e)).env
-    assert as_dict(env["share"].df) == pytest.approx({1: 0.425, 5: 0.255})
-    assert env["leftover"].df.first()[0] == pytest.approx(0.32)
-    assert as_dict(env["rank"].df) == pytest.approx({1: 0.489, 2: 0.064, 3: 0.064, 4: 0.064, 5: 0.319})
+    env = pagerank.run(pagerank.pagerank_procedure(until=Times(1)), graph_catalog(e)).env
+    assert as_dict(env["sent"].df.selectExpr("to", "CAST(gain AS DOUBLE)")) == pytest.approx({1: 0.425, 5: 0.255})
+    assert env["dealt"].df.first()[0] * 5 == pytest.approx(0.32)
+    assert as_dict(env["held"].df.selectExpr("node", "CAST(rank AS DOUBLE)")) == pytest.approx({1: 0.489, 2: 0.064, 3: 0.064, 4: 0.064, 5: 0.319})
     ten = as_dict(pagerank.pagerank(e).df)
     assert ten == pytest.approx({1: 0.307301170, 5: 0.400568750, 2: 0.097376693, 3: 0.097376693, 4: 0.097376693}, abs=1e-9)
 
