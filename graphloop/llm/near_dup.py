@@ -6,8 +6,9 @@
 2. Trees: in each of several independent trees a set walks from the root along ``branches``
    minwise tokens chosen by the node, so two sets meet below a node where a chosen token
    agrees. Nodes are expanded level by level. Small ones are compared exhaustively on their
-   signatures, with a margin below the threshold; larger ones branch again, and what is still
-   large at the last level is so alike that all of it is taken as candidates of one hub.
+   signatures, with a margin below the threshold; larger ones branch again, unless all their
+   sets are connected already, and what is still large at the last level is so alike that all
+   of it is taken as candidates of one hub.
 3. Candidates form provisional groups. Within a group links are confirmed on full sets: in one
    task up to ``block`` members; beyond that in blocks, each with the group's hub, after which
    the members that are not yet one with the hub are compared, in blocks too, with all blocks: a
@@ -43,7 +44,6 @@ _ODD = _RNG.integers(0, 2**31, COORDINATES, dtype=np.uint32) * np.uint32(2) + np
 _ROWS = 512
 MISS = 0.0001
 CELLS = 512
-HOT_SHARE = 1_000
 BRANCHES = 2
 
 
@@ -181,37 +181,62 @@ def _compare_small(members: DataFrame, percent: int, leaf: int) -> DataFrame:
     return dealt.mapInArrow(run, "src long, dst long").distinct()
 
 
-def _by_node(members: DataFrame, nodes: DataFrame, key: str = "node") -> DataFrame:
-    """``members`` joined with ``nodes`` (node, size, ...), written before; the node may be called ``key``.
+def _alike_hub(pairs: DataFrame, percent: int) -> DataFrame:
+    """The links (src, dst) among rows (src, src_n, src_sig, rid, n, sig) that pass as candidates by signature."""
+    least = _least_agreement(percent)
 
-    Nodes with more than one in ``HOT_SHARE`` of all rows are fewer than ``HOT_SHARE``, so they are
-    broadcast, and the rows of a crowded node stay where they are.
-    """
-    total = nodes.agg(F.sum("size")).first()[0] or 0
-    hot = F.broadcast(nodes.where(F.col("size") * HOT_SHARE > total))
-    marked = members.join(hot, key, "left")
-    rest = marked.where(F.col("size").isNull()).select(members.columns).join(nodes, key)
-    return marked.where(F.col("size").isNotNull()).unionByName(rest)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows in batches:
+            if not rows.num_rows:
+                continue
+            sigs = (np.frombuffer(b"".join(rows.column(c).to_pylist()), dtype=np.uint16).reshape(-1, COORDINATES) for c in ("src_sig", "sig"))
+            a, b = (rows.column(c).to_numpy() for c in ("src_n", "n"))
+            at = np.equal(*sigs).sum(axis=1) >= least
+            at &= 100 * np.minimum(a, b) >= percent * np.maximum(a, b)
+            ends = [pa.array(rows.column(c).to_numpy()[at]) for c in ("src", "rid")]
+            yield pa.RecordBatch.from_arrays(ends, names=["src", "dst"])
+
+    return pairs.select("src", "src_n", "src_sig", "rid", "n", "sig").mapInArrow(run, "src long, dst long").distinct()
+
+
+def _stars(members: DataFrame, percent: int) -> DataFrame:
+    """Candidate links between the hub of each node, its first set, and those of its other sets that are alike."""
+    hubs = stored(members.groupBy("node").agg(F.min(F.struct("rid", "n", "sig")).alias("hub")))
+    hubs = hubs.select("node", F.col("hub.rid").alias("src"), F.col("hub.n").alias("src_n"), F.col("hub.sig").alias("src_sig"))
+    return _alike_hub(members.join(hubs, "node").where("src <> rid"), percent)
 
 
 def candidates(sets: DataFrame, percent: int, trees: int, branches: int = BRANCHES, leaf: int = 32, depth: int = 4) -> DataFrame:
-    """Candidate links (src, dst) between rows (rid, n, sig)."""
+    """Candidate links (src, dst) between rows (rid, n, sig), at least one path of them for each candidate pair.
+
+    The sets of a node that branches are first held against its hub, and ``label`` names what such
+    links have connected in any tree. A node all of whose sets have one label can connect nothing
+    more, so neither is it compared nor does it branch: a group of copies ends after a level or two.
+    Tables of nodes are written before they are joined, so that adaptive plans split crowded nodes.
+    """
     tops = F.explode(F.array(*(F.xxhash64(F.lit(f"tree {t}")) for t in range(trees))))
-    members = sets.select("rid", "n", "sig", tops.alias("node"))
-    links = None
+    members = sets.select("rid", "n", "sig", F.col("rid").alias("label"), tops.alias("node"))
+    links = stars = None
     for level in range(1, depth + 1):
-        members = members.select("rid", "n", "sig", F.explode(_children(branches)).alias("node"))
-        sizes = stored(members.groupBy("node").agg(F.count(F.lit(1)).alias("size")).where("size > 1"))
-        members = stored(_by_node(members, sizes))
+        members = members.select("rid", "n", "sig", "label", F.explode(_children(branches)).alias("node"))
+        nodes = members.groupBy("node").agg(F.count(F.lit(1)).alias("size"), F.min("label").alias("least"), F.max("label").alias("most"))
+        sizes = stored(nodes.where("least < most").select("node", "size"))
+        members = stored(members.join(sizes, "node"))
         small = _compare_small(members.where(F.col("size") <= leaf), percent, leaf)
         links = small if links is None else links.unionByName(small)
         members = members.where(F.col("size") > leaf)
         if members.isEmpty():
             break
+        if level < depth:
+            found = stored(_stars(members, percent))
+            links = links.unionByName(found)
+            stars = found if stars is None else stars.unionByName(found)
+            labels = contract(stars)[0].select(F.col("node").alias("rid"), "component")
+            members = members.join(labels, "rid", "left").withColumn("label", F.coalesce("component", "rid"))
     else:
-        hubs = stored(members.groupBy("node").agg(F.count(F.lit(1)).alias("size"), F.min("rid").alias("src")))
-        stars = _by_node(members.drop("size"), hubs).select("src", F.col("rid").alias("dst")).where("src <> dst")
-        links = links.unionByName(stars.distinct())
+        hubs = stored(members.groupBy("node").agg(F.min("rid").alias("src")))
+        last = members.join(hubs, "node").select("src", F.col("rid").alias("dst")).where("src <> dst")
+        links = links.unionByName(last.distinct())
     return links
 
 
@@ -354,8 +379,8 @@ def near_duplicates(
     roots, _ = contract(confirmed(texts, width, percent, block))
     named = sets.select("s1", "s2", "rid", "first").join(roots.withColumnRenamed("node", "rid"), "rid", "left")
     named = named.withColumn("root", F.coalesce("component", "rid"))
-    least = stored(named.groupBy("root").agg(F.min("first").alias("component_id"), F.count(F.lit(1)).alias("size")))
-    named = _by_node(named, least, "root").select("s1", "s2", "component_id")
+    least = stored(named.groupBy("root").agg(F.min("first").alias("component_id")))
+    named = named.join(least, "root").select("s1", "s2", "component_id")
     out = marked.select("id", "n", "s1", "s2").join(named, ["s1", "s2"], "left")
     component = F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("id"))
     return out.select("id", F.col("n").alias("n_shingles"), component.alias("component"), F.col("id").eqNullSafe(component).alias("kept"))

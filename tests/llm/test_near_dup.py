@@ -130,3 +130,18 @@ def test_group_of_thousands_with_apart_members(spark):
         words[(7 * k) % 80] = f"{rng.randrange(10**6)}"
     out = near_dup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), width=3, percent=85, leaf=4, depth=1, block=64).collect()
     assert {r.component for r in out} == {0}
+
+
+def test_connected_nodes_do_not_branch(spark, monkeypatch):
+    """Near copies of one text are connected after a level; the links of texts that chain through crowded nodes are kept."""
+    rng = random.Random(23)
+    base = [f"{rng.randrange(10**6)}" for _ in range(300)]
+    copies = [(k, " ".join([*base, str(k)])) for k in range(400)]
+    written, plain = [], near_dup.stored
+    monkeypatch.setattr(near_dup, "stored", lambda df: written.append(plain(df)) or written[-1])
+    out = near_dup.near_duplicates(spark.createDataFrame(copies, "doc_id long, text string")).collect()
+    assert {r.component for r in out} == {0}
+    levels = [df.count() for df in written if "size" in df.columns and "sig" in df.columns]
+    assert 0 < levels[0] <= 400 * 5 * 2 and sum(levels[1:]) < levels[0]
+    monkeypatch.undo()
+    check(spark, corpus(24, [(200, 1), (80, 8), (30, 16)], 20), 3, 85, leaf=4)
