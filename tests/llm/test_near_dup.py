@@ -145,3 +145,40 @@ def test_connected_nodes_do_not_branch(spark, monkeypatch):
     assert 0 < levels[0] <= 400 * 5 * 2 and sum(levels[1:]) < levels[0]
     monkeypatch.undo()
     check(spark, corpus(24, [(200, 1), (80, 8), (30, 16)], 20), 3, 85, leaf=4)
+
+
+def test_sets_apart_do_not_keep_crowded_nodes_branching(spark, monkeypatch):
+    """Copies of one text and a few texts half like it: their nodes end at once, where all of a node went on to every level before."""
+    rng = random.Random(25)
+    base = [f"{rng.randrange(10**6)}" for _ in range(120)]
+    rows = [(k, " ".join([*base, str(k)])) for k in range(600)]
+    rows += [(600 + k, " ".join(base[:80] + [f"{rng.randrange(10**6)}" for _ in range(20)])) for k in range(30)]
+    rows += [(630, " ".join(base[:80] + rows[629][1].split()[80:] + ["end"]))]
+    written, plain = [], near_dup.stored
+    monkeypatch.setattr(near_dup, "stored", lambda df: written.append(plain(df)) or written[-1])
+    check(spark, rows, 3, 85, block=64)
+    crowded = [df.where("size > 32").count() for df in written if "size" in df.columns and "sig" in df.columns]
+    assert crowded[0] > 600 and sum(crowded[1:]) <= 2 * crowded[0]
+
+
+def test_unlike_sets_of_a_crowded_node_are_no_candidates(spark, monkeypatch):
+    """Texts that share a passage, none alike: they meet in crowded nodes to the last level, where all were candidates of one hub before."""
+    rng = random.Random(26)
+    base = [f"{rng.randrange(10**6)}" for _ in range(60)]
+    rows = [(k, " ".join(base + [f"{rng.randrange(10**6)}" for _ in range(50)])) for k in range(300)]
+    groups, plain = [], near_dup.confirmed
+    monkeypatch.setattr(near_dup, "confirmed", lambda texts, *more: groups.append(texts.count()) or plain(texts, *more))
+    check(spark, rows, 3, 85)
+    assert groups[0] < 100
+
+
+@pytest.mark.parametrize("way", ["all", "guests", "hub"])
+def test_links_of_blocks(spark, way):
+    """Blocks of each way connect what they promise: all that is alike, guests with what is like them, everything to the hub."""
+    rng = near_dup.np.random.Generator(near_dup.np.random.PCG64(3))
+    sigs = {kind: rng.integers(0, 2**16, 64, dtype="uint16").tobytes() for kind in "abc"}
+    rows = [(7, 0, int(k == 0), k, 100, sigs[kind], 1 if k == 1 else k) for k, kind in enumerate("aabbca")]
+    df = spark.createDataFrame(rows, "node long, block int, guest int, rid long, n long, sig binary, label long")
+    got = {(r.src, r.dst) for r in near_dup._link_blocks(df, 85, way).collect()}
+    linked = {"all": {(0, 1), (0, 5), (2, 3)}, "guests": {(0, 1), (0, 5)}, "hub": {(0, 1), (0, 2), (0, 3), (0, 4), (0, 5)}}[way]
+    assert got == linked
